@@ -1,4 +1,6 @@
 """Every method of the engine as a named query with its SQL oracle."""
 
-QUERIES = {}
-ORACLES = {}
+from . import methods, relational
+from .registry import ORACLES, QUERIES
+
+__all__ = ["ORACLES", "QUERIES", "methods", "relational"]
