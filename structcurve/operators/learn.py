@@ -304,7 +304,7 @@ class Space:
             return value if rng.random() < 0.8 else self._one(d, rng)
         lo, hi = (np.log(d[1]), np.log(d[2])) if d[0] == "loguniform" else (d[1], d[2])
         centre = np.log(value) if d[0] == "loguniform" else value
-        v = float(np.clip(rng.normal(centre, (hi - lo) / 5), lo, hi))
+        v = float(np.clip(rng.normal(centre, (hi - lo) / 8), lo, hi))
         v = float(np.exp(v)) if d[0] == "loguniform" else v
         return int(round(v / d[3]) * d[3]) if d[0] == "quniform" else v
 
@@ -315,7 +315,7 @@ class Space:
             return (sum(s == value for s in seen) + 1) / (len(seen) + len(d[1]))
         to = np.log if d[0] == "loguniform" else float
         lo, hi = to(d[1]), to(d[2])
-        width = max((hi - lo) / 5, 1e-12)
+        width = max((hi - lo) / 8, 1e-12)
         z = (np.array([to(s) for s in seen]) - to(value)) / width
         return (float(np.exp(-0.5 * z**2).sum()) / (width * math.sqrt(2 * math.pi)) + 1 / max(hi - lo, 1e-12)) / (len(seen) + 1)
 
@@ -337,7 +337,7 @@ class Search:
 
 
 def smbo_search(space: Space, objective: Callable[[list[dict]], list[float]], n_trials: int = 24, gamma: float = 0.25, seed: int = 0, start: int = 8, per_round: int = 4, method: str = "smbo") -> Search:
-    """Sequential model-based search: candidates are drawn near the best quarter of trials and ranked by the ratio
+    """Sequential model-based search: candidates are drawn near the few best trials and ranked by the ratio
     of densities of good to other trials; ``method='random'`` is the ablation.
 
     ``objective`` gets a round of settings at once, so that a round is one distributed job.
@@ -349,15 +349,19 @@ def smbo_search(space: Space, objective: Callable[[list[dict]], list[float]], n_
             batch = [space.sample(rng) for _ in range(want)]
         else:
             ranked = sorted(trials, key=lambda t: t[2])
-            cut = max(2, math.ceil(gamma * len(ranked)))
+            cut = min(25, max(2, math.ceil(2 * gamma * math.sqrt(len(ranked)))))  # few: a wide set of good trials hides the best choices
             good, rest = [t[1] for t in ranked[:cut]], [t[1] for t in ranked[cut:]]
-            pool = []
-            for _ in range(24 * want):
-                base = good[int(rng.integers(len(good)))]
-                c = {k: space.near(k, base[k], rng) for k in space.dims}
-                score = sum(math.log(space.density(k, c[k], [g[k] for g in good]) / space.density(k, c[k], [r[k] for r in rest])) for k in space.dims)
-                pool.append((score, len(pool), c))
-            batch = [c for _, _, c in sorted(pool, reverse=True)[:want]]
+            # one setting of a round comes from the prior alone: a wrong choice that did well early cannot lock the search
+            batch = [space.sample(rng)] if want > 1 else []
+            while len(batch) < want:
+                # each pick has a pool of its own, so that a round's picks differ
+                pool = []
+                for i in range(32):
+                    base = good[int(rng.integers(len(good)))]
+                    c = space.sample(rng) if i % 5 == 0 else {k: space.near(k, base[k], rng) for k in space.dims}
+                    score = sum(math.log(space.density(k, c[k], [g[k] for g in good]) / space.density(k, c[k], [r[k] for r in rest])) for k in space.dims)
+                    pool.append((score, i, c))
+                batch.append(max(pool)[2])
         for p, v in zip(batch, objective(batch)):
             trials.append((len(trials), p, v))
     best = min(trials, key=lambda t: t[2])
