@@ -168,11 +168,11 @@ def fit_quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             x = feature_matrix(batch.column(2).to_pylist())
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(x.tolist(), pa.list_(pa.float64()))], ["doc_id", "y", "x"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([r.tobytes() for r in x], pa.binary())], ["doc_id", "y", "x"])
 
-    got = sorted(arrow_map(rows, run, "doc_id bigint, y int, x array<double>").collect(), key=lambda r: (r.doc_id, r.y, r.x))
-    x = np.array([r.x for r in got], np.float64).reshape(len(got), len(FEATURES))
-    return train_trees(x, np.array([r.y for r in got], np.float64), **options)
+    got = sorted(map(tuple, arrow_map(rows, run, "doc_id bigint, y int, x binary").collect()))
+    x = np.frombuffer(b"".join(r[2] for r in got), np.float64).reshape(len(got), len(FEATURES))
+    return train_trees(x, np.array([r[1] for r in got], np.float64), **options)
 
 
 def score_quality(docs: DataFrame, model: BoostedTrees, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.7, folds: int = 4, held: int = 2) -> DataFrame:

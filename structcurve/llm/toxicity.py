@@ -31,7 +31,7 @@ WORD = re.compile(r"\w+")
 STEMS = (4, 5, 6, 7)
 COUNT_TERMS = 8
 #: Bound of the sample of labelled rows that is fitted on, for each label.
-SAMPLE_PER_LABEL = 4000
+SAMPLE_PER_LABEL = 3000
 
 
 def word_terms(word: str) -> list[str]:
@@ -89,34 +89,38 @@ def _copy_key(text: str) -> int:
 
 def choose_vocabulary(texts: list[str], labels: list[int], cover: int = 6, precision: float = 0.85, support: int = 3, most: int = 2000) -> Vocabulary:
     """Greedy multi-cover of the toxic examples by terms that are rare in the others; near copies count once."""
-    share = [0, 0]
-    for y in labels:
-        share[y] += 1
-    if not share[1]:
-        return Vocabulary({})
-    weight = max(1.0, share[1] / max(1, share[0]))
-    toxic_df: Counter = Counter()
-    clean_df: Counter = Counter()
-    toxic_terms: list[set[str]] = []
+    clean = [t for t, y in zip(texts, labels) if not y]
     seen: set[int] = set()
+    toxic: list[str] = []
     for text, y in zip(texts, labels):
-        key = _copy_key(text)
-        if y and key in seen:
-            continue
-        terms = text_terms(text)
-        (toxic_df if y else clean_df).update(terms)
-        if y:
+        if y and (key := _copy_key(text)) not in seen:
             seen.add(key)
-            toxic_terms.append(terms)
+            toxic.append(text)
+    if not toxic:
+        return Vocabulary({})
+    weight = max(1.0, sum(labels) / max(1, len(clean)))
+    # counts by hash first: only terms that may have the support are ever held as strings
+    rough = np.zeros(1 << 22, np.uint16)
+    place = lambda terms: np.fromiter((zlib.crc32(t.encode("utf-8", "surrogatepass")) & 0x3FFFFF for t in terms), np.int64)
+    for text in toxic:
+        rough[np.unique(place(text_terms(text)))] += 1
+    toxic_df: Counter = Counter()
+    for text in toxic:
+        terms = list(text_terms(text))
+        toxic_df.update(t for t, n in zip(terms, rough[place(terms)]) if n >= support)
+    toxic_df = Counter({t: n for t, n in toxic_df.items() if n >= support})
+    clean_df: Counter = Counter()
+    for text in clean:
+        clean_df.update(t for t in text_terms(text) if t in toxic_df)
     # many thousands of terms are tried, so a term must also be far likelier in toxic texts, one clean text granted
-    lift = max(1, share[0]) / max(1, len(toxic_terms))
-    good = {t for t, n in toxic_df.items() if n >= support and n / (n + weight * clean_df[t] + 0.5) >= precision and n * lift >= 15 * (clean_df[t] + 1)}
+    lift = max(1, len(clean)) / len(toxic)
+    good = {t for t, n in toxic_df.items() if n / (n + weight * clean_df[t] + 0.5) >= precision and n * lift >= 15 * (clean_df[t] + 1)}
     where: dict[str, list[int]] = {}
-    for i, terms in enumerate(toxic_terms):
-        for t in terms & good:
+    for i, text in enumerate(toxic):
+        for t in text_terms(text) & good:
             where.setdefault(t, []).append(i)
     docs = {t: np.array(v) for t, v in where.items()}
-    need = np.full(len(toxic_terms), cover)
+    need = np.full(len(toxic), cover)
     ids: dict[str, int] = {}
     # lazy greedy: a term's gain only falls, so the top of the queue is checked again before it is taken
     queue = [(-len(v), -len(t), t) for t, v in docs.items()]
