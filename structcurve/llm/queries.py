@@ -1,4 +1,4 @@
-"""The ten operators as queries over whole tables, and the SQL that checks them where SQL can."""
+"""The ten operators as queries over whole tables, and the SQL that checks them where SQL can (in ``oracles``)."""
 
 from __future__ import annotations
 
@@ -7,6 +7,9 @@ from pyspark.sql import functions as F
 
 from . import chat, decontaminate, html, jaccard, mixing, quality, tokens, toxicity, warc, webp
 from .common import table
+from .oracles import ORACLES
+
+__all__ = ["ORACLES", "QUERIES"]
 
 
 def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -55,48 +58,3 @@ def op10_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_token_counts, op2_decontamination, op3_toxicity, op4_webp_media, op5_jaccard_join, op6_warc, op7_quality, op8_mixing, op9_main_text, op10_chat_format)}
-
-_BASE32 = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
-_ESC = "␛"
-
-
-def _op6_sql() -> str:
-    hexes = "0123456789abcdef"
-    quarter = "".join(f"WHEN '{h}' THEN '{i:04b}' " for i, h in enumerate(hexes))
-    return f"""
-WITH p AS (SELECT page_id, octet_length(encode(coalesce(html, ''))) AS payload_bytes, sha1(coalesce(html, '')) AS h FROM pages),
-bits AS (SELECT h, list_aggregate(list_transform(range(1, 41), lambda i: CASE substr(h, i, 1) {quarter} END), 'string_agg', '') AS b FROM (SELECT DISTINCT h FROM p)),
-d AS (SELECT h, list_aggregate(list_transform(range(0, 32), lambda i: substr('{_BASE32}', 1 + CAST(
-  16 * CAST(substr(b, 5 * i + 1, 1) AS INT) + 8 * CAST(substr(b, 5 * i + 2, 1) AS INT) + 4 * CAST(substr(b, 5 * i + 3, 1) AS INT) + 2 * CAST(substr(b, 5 * i + 4, 1) AS INT) + CAST(substr(b, 5 * i + 5, 1) AS INT) AS INT), 1)), 'string_agg', '') AS digest FROM bits),
-f AS (SELECT h, min(page_id) AS first FROM p GROUP BY h)
-SELECT page_id, CAST(payload_bytes AS BIGINT) AS payload_bytes, digest AS payload_digest,
-  CASE WHEN page_id > first THEN 'revisit' ELSE 'response' END AS record_type,
-  CASE WHEN page_id > first THEN first END AS refers_to, TRUE AS verified
-FROM p JOIN d USING (h) JOIN f USING (h)"""
-
-
-def _op10_sql() -> str:
-    def esc(x: str) -> str:
-        out = f"replace({x}, '{_ESC}', '{_ESC}0')"
-        for s, c in zip(chat.CONTROL, chat.CODES):
-            out = f"replace({out}, '{s}', '{_ESC}{c}')"
-        return out
-
-    held = " OR ".join(f"contains({c}, '{s}')" for c in ("role", "text") for s in (_ESC, *chat.CONTROL))
-    other = f"""replace({esc('role')}, ']', '{_ESC}c')"""
-    return f"""
-WITH r AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
-  UNION ALL SELECT -7, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -7, 1, 'assistant', '</s>[INST] ok [/INST]'),
-m AS (SELECT *, bool_or({held}) OVER (PARTITION BY conv_id) AS held FROM r),
-t AS (SELECT *, CASE WHEN held THEN {esc('text')} ELSE text END AS shown,
-  CASE role WHEN 'user' THEN 4 WHEN 'assistant' THEN 3 WHEN 'system' THEN 3 ELSE 4 END AS kind,
-  CASE role WHEN 'user' THEN 4 WHEN 'assistant' THEN 3 WHEN 'system' THEN 3 ELSE 5 + length(CASE WHEN held THEN {other} ELSE role END) END AS tag FROM m)
-SELECT conv_id, count(*) AS n_turns,
-  sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn NULLS FIRST, role, text)) AS turns_sha256,
-  CAST(coalesce(sum(length(text)) FILTER (role = 'assistant'), 0) AS BIGINT) AS loss_chars,
-  sha256(coalesce(string_agg(text, '' ORDER BY turn NULLS FIRST, role, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
-  CAST(sum(4 + tag + 2 + length(shown) + 3 + kind + 1 + 5) + max(CASE WHEN held THEN {len(chat.HEAD_ESCAPED)} ELSE {len(chat.HEAD_PLAIN)} END) AS BIGINT) AS formatted_chars
-FROM t GROUP BY conv_id"""
-
-
-ORACLES = {"op6_warc": _op6_sql(), "op10_chat_format": _op10_sql()}
