@@ -108,7 +108,8 @@ def drawn_slots(targets: DataFrame, block_words: int, slots: int, shard_slots: i
     # one row per source beside one per shard: both are small, their product is the table of counts itself
     counts = s.withColumn("_one", F.lit(1)).join(t.withColumn("_one", F.lit(1)), "_one").select("rank", "shard", "blocks", (F.ceil(F.col("_hi") * F.col("_m") - F.col("_u")) - F.ceil(F.col("_lo") * F.col("_m") - F.col("_u"))).cast("bigint").alias("count"))
     ends = F.sum("count").over(Window.partitionBy("rank").orderBy("shard"))
-    ranked = counts.withColumn("_first", ends - F.col("count")).where("count > 0")
+    # the table of counts is small and would be one task's; its slots are many
+    ranked = counts.withColumn("_first", ends - F.col("count")).where("count > 0").repartition(min(10_000, max(8, slots // 50_000)), "rank", "shard")
     slot = ranked.select("rank", "shard", "blocks", F.explode(F.sequence(F.col("_first"), F.col("_first") + F.col("count") - 1)).alias("n"))
     slot = slot.withColumn("epoch", F.floor(F.col("n") / F.col("blocks")))
     return slot.select("rank", "shard", "n", "epoch", permuted(F.pmod("n", F.col("blocks")), F.col("blocks"), F.col("rank") * 16 + F.col("epoch")).alias("block"))
