@@ -122,8 +122,8 @@ class ItemIndex:
                 return len(part & found[n]) / len(part)
 
             q, a = share(question, nq), share(answer, na)
-            row = (i, score, q, a, lo, hi)
-            if q >= overlap and a >= overlap and (i not in best or (-score, lo) < (-best[i][1], best[i][4])):
+            row = (i, round(score, 9), q, a, lo, hi)
+            if q >= overlap and a >= overlap and (i not in best or (-row[1], lo) < (-best[i][1], best[i][4])):
                 best[i] = row
         return [best[i] for i in sorted(best)]
 

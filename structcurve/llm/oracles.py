@@ -61,6 +61,32 @@ reach AS (SELECT doc_id AS node, doc_id AS root FROM w UNION SELECT link.b, reac
 SELECT node AS doc_id, min(root) AS class_id, (SELECT count(*) FROM link WHERE a = node) AS n_links FROM reach GROUP BY node"""
 
 
+def leaks() -> str:
+    """Every window of every document scored against every item, without an index."""
+    words = r"[\p{L}\p{N}_]+"
+    grams = lambda x, n: f"list_distinct(list_transform(range(1, len({x}) - {n} + 2), lambda i: array_to_string({x}[i:i + {n} - 1], ' ')))"
+    share = lambda g, n: f"CASE WHEN len({g}) = 0 THEN 1e0 ELSE len(list_intersect({g}, {grams('here', n)})) / len({g}) END"
+    return rf"""
+WITH it AS (SELECT item_id, text, regexp_extract_all(lower(text), '{words}') AS ws FROM (SELECT DISTINCT item_id, coalesce(text, '') AS text FROM benchmark)),
+items AS (SELECT * FROM it WHERE len(ws) > 0),
+facts AS (SELECT count(*) AS n, avg(len(ws)) AS mean, max(len(ws)) AS span FROM items),
+tf AS (SELECT item_id, w, count(*) AS c FROM (SELECT item_id, unnest(ws) AS w FROM items) GROUP BY ALL),
+df AS (SELECT w, count(*) AS df FROM tf GROUP BY w),
+impact AS (SELECT item_id, w, ln(1 + (n - df + 0.5e0) / (df + 0.5e0)) * c * 2.2e0 / (c + 1.2e0 * (0.25e0 + 0.75e0 * len(ws) / mean)) AS v FROM tf JOIN df USING (w) JOIN items USING (item_id), facts),
+own AS (SELECT item_id, sum(v) AS whole FROM impact GROUP BY item_id),
+cut AS (SELECT item_id, list_filter(list_transform(string_split(regexp_replace(text, '([.!?])\s+', '\1' || chr(1), 'g'), chr(1)), lambda s: regexp_extract_all(lower(s), '{words}')), lambda p: len(p) > 0) AS p FROM items),
+qa AS (SELECT item_id, CASE WHEN len(p) > 1 THEN flatten(p[1:len(p) - 1]) ELSE p[1][1:len(p[1]) - len(p[1]) // 3] END AS q, CASE WHEN len(p) > 1 THEN p[len(p)] ELSE p[1][len(p[1]) - len(p[1]) // 3 + 1:len(p[1])] END AS a FROM cut),
+runs AS (SELECT item_id, least(3, len(q)) AS nq, least(3, len(a)) AS na, CASE WHEN len(q) = 0 THEN [] ELSE {grams('q', 'least(3, len(q))')} END AS gq, CASE WHEN len(a) = 0 THEN [] ELSE {grams('a', 'least(3, len(a))')} END AS ga FROM qa),
+d AS (SELECT doc_id, regexp_extract_all(lower(coalesce(text, '')), '{words}') AS ws FROM documents),
+lows AS (SELECT doc_id, ws, span, unnest(range(0, greatest(1, len(ws) - span), span)) AS lo FROM d, facts WHERE len(ws) > 0),
+win AS (SELECT doc_id, lo, least(len(ws), lo + 2 * span) AS hi, ws[lo + 1:least(len(ws), lo + 2 * span)] AS here FROM lows),
+scored AS (SELECT doc_id, lo, item_id, round(sum(v) / any_value(whole), 9) AS score FROM (SELECT DISTINCT doc_id, lo, unnest(here) AS w FROM win) JOIN impact USING (w) JOIN own USING (item_id) GROUP BY ALL),
+good AS (SELECT * FROM scored WHERE score >= 0.5e0),
+held AS (SELECT doc_id, item_id, score, lo, hi, {share('gq', 'nq')} AS q, {share('ga', 'na')} AS a FROM good JOIN win USING (doc_id, lo) JOIN runs USING (item_id))
+SELECT doc_id, item_id, score, q AS question_overlap, a AS answer_overlap, CAST(lo AS INT) AS word_from, CAST(hi AS INT) AS word_to
+FROM (SELECT *, row_number() OVER (PARTITION BY doc_id, item_id ORDER BY score DESC, lo) AS r FROM held WHERE q >= 0.5e0 AND a >= 0.5e0) WHERE r = 1"""
+
+
 def mix(block: int = 128) -> str:
     m = 1 << 31
     dice = lambda x, salt: f"(((xor((((({x}) % {m}) + {m}) % {m} * 1103515245 + ({salt}) * 12345 + 12345) % {m}, ((((({x}) % {m}) + {m}) % {m} * 1103515245 + ({salt}) * 12345 + 12345) % {m}) >> 16)) * 1103515245 + 12345) % {m})"
@@ -96,4 +122,4 @@ SELECT p.doc_id, p.size, t.source_size, t.target, coalesce(k.taken, 0) AS taken,
 FROM placed p JOIN targets t ON p.source IS NOT DISTINCT FROM t.source LEFT JOIN taken k ON k.rank = t.rank AND k.start = p.start AND k.doc_id = p.doc_id AND p.size > 0"""
 
 
-ORACLES = {"op5_jaccard_join": similar(), "op6_warc": warc(), "op8_mixing": mix(), "op10_chat_format": chats()}
+ORACLES = {"op2_decontamination": leaks(), "op5_jaccard_join": similar(), "op6_warc": warc(), "op8_mixing": mix(), "op10_chat_format": chats()}
