@@ -205,9 +205,11 @@ def components(edges: DataFrame, most: int = 50) -> DataFrame:
             break
         before = mark
         sides = both(now)
-        low = sides.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
+        # what is joined back is written first, so that a node with very many edges can be split
+        low = written(sides.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m")), "low")
         large = sides.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        low = large.groupBy("a").agg(F.min("b").alias("m"))
+        large = written(large, "large")
+        low = written(large.groupBy("a").agg(F.min("b").alias("m")), "low")
         small = large.join(low, "a").select("a", "b", "m")
         now = written(small.select(F.col("b").alias("a"), F.col("m").alias("b")).union(small.select("a", F.col("m").alias("b"))).where("a <> b").distinct(), "edges")
     return now.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("root"))
@@ -254,8 +256,7 @@ def similar_documents(docs: DataFrame, threshold: float = 0.8, shingle: int = 5,
     reps = written(reps, "reps")
 
     pairs = reps.select("rep", F.explode("keys").alias("key"))
-    counts = pairs.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-    met = pairs.join(counts, "key")
+    met = pairs.join(_counted(pairs), "key")
     meeting = written(met.join(reps.select("rep", "sketch"), "rep").select("key", "n", "rep", "sketch"), "meeting")
     found = [_compared(meeting.where(F.col("n") <= BUCKET), threshold)]
     large = meeting.where(F.col("n") > BUCKET).select("key", "rep", "sketch")
@@ -263,8 +264,7 @@ def similar_documents(docs: DataFrame, threshold: float = 0.8, shingle: int = 5,
         if large.isEmpty():
             break
         deeper = written(_split(large, threshold), "deeper")
-        counts = deeper.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-        again = written(deeper.join(counts, "key"), "again")
+        again = written(deeper.join(_counted(deeper), "key"), "again")
         found.append(_compared(again.where(F.col("n") <= BUCKET), threshold))
         large = again.where(F.col("n") > BUCKET)
         if depth == DEPTH - 1 and not large.isEmpty():
@@ -285,6 +285,12 @@ def similar_documents(docs: DataFrame, threshold: float = 0.8, shingle: int = 5,
     return out.union(lost)
 
 
+def _counted(rows: DataFrame) -> DataFrame:
+    """Keys with at least two rows and their number, written: a join with them then has exchanges of its own
+    on both sides, which the planner can split where one key has very many rows."""
+    return written(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "counts")
+
+
 def _split(rows: DataFrame, threshold: float) -> DataFrame:
     """Members of large buckets, at the next step of their paths."""
 
@@ -340,7 +346,7 @@ def _compared(rows: DataFrame, threshold: float) -> DataFrame:
 
 def _verified(rows: DataFrame, tally: DataFrame, groups: DataFrame, shingle: int, threshold: float) -> DataFrame:
     """``rep, mate, links``: linked copies found in one pair of blocks, and the smallest member linked there."""
-    size = groups.groupBy("root").agg(F.count("*").alias("n"))
+    size = written(groups.groupBy("root").agg(F.count("*").alias("n")), "group-sizes")
     members = groups.join(size, "root").join(tally.select(F.col("rep").alias("node"), "copies", "head"), "node")
     members = written(members, "members")
     few = members.count() <= SENT_IDS
