@@ -69,8 +69,20 @@ def coordination_value(z: Column, bonds: Column, mode: str = "bonded") -> Column
     raise ValueError(f"unknown mode {mode}")
 
 
-def descriptor_coordination(atoms: DataFrame, cutoff: float = 10.0, mode: str = "bonded", blocked: bool = True) -> DataFrame:
-    """Adds ``descriptor`` = atomic number plus coordination; bonds are pairs within the cutoff."""
+def prefers_blocks(atoms: DataFrame) -> bool:
+    """Whether 27 copies of every atom are fewer than half of all pairs: one aggregate of counts decides."""
+    n = atoms.groupBy("structure_id").agg(F.count("*").cast("double").alias("n"))
+    r = n.agg(F.sum(F.col("n") * F.col("n")).alias("pairs"), F.sum("n").alias("atoms")).first()
+    return bool(r.atoms) and r.pairs > 54 * r.atoms
+
+
+def descriptor_coordination(atoms: DataFrame, cutoff: float = 10.0, mode: str = "bonded", blocked: bool | None = None) -> DataFrame:
+    """Adds ``descriptor`` = atomic number plus coordination; bonds are pairs within the cutoff.
+
+    Without ``blocked`` the cheaper of the two range joins is taken: all pairs for small structures,
+    blocks for large ones.
+    """
+    blocked = prefers_blocks(atoms) if blocked is None else blocked
     found = (neighbours_blocked if blocked else neighbours)(atoms, cutoff).groupBy("structure_id", "atom_id").agg(F.count("*").alias("_bonds"))
     joined = atoms.join(found, ["structure_id", "atom_id"], "left")
     return joined.withColumn("descriptor", coordination_value(F.col("z"), F.coalesce("_bonds", F.lit(0)), mode).cast("double")).drop("_bonds")
