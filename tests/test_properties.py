@@ -200,3 +200,16 @@ def test_mean_predictor(spark):
     p = t.toPandas()
     for r in metrics.mean_predictor(t, ["a", "b"]).collect():
         assert abs(r.pred - p.loc[p["fold"] != r.fold, r.target].mean()) < 1e-9
+
+
+def test_nearest_in_blocks(spark):
+    from structcurve.operators.joins import knn_exact
+
+    rng = np.random.default_rng(4)
+    rows = [(i, [float(v) for v in rng.normal(size=5)]) for i in range(60)]
+    points = spark.createDataFrame(rows, "pid bigint, vec array<double>")
+    queries = points.where("pid % 3 = 0").withColumnRenamed("pid", "qid")
+    one, many = (sorted(map(tuple, knn_exact(queries, points, 4, block=b).collect())) for b in (1000, 6))
+    v = np.array([r[1] for r in rows])
+    brute = {(q, int(p)) for q in range(0, 60, 3) for p in sorted((i for i in range(60) if i != q), key=lambda i: (-round(float(v[q] @ v[i]), 6), i))[:4]}
+    assert one == many and {(r[0], r[2]) for r in one} == brute
