@@ -14,7 +14,7 @@ from ..operators.encode import EncodeConfig
 from ..session import written
 from ..sources.tables import atoms_from_lineitem, load, tokens
 
-#: Values of the paper's hyper-parameter table: kept dimensions, learn rate, batch size by representation.
+#: Published hyper-parameters: kept dimensions, learn rate, batch size by representation.
 PUBLISHED = {"D1": (7, 3.74e-4, 37), "D2": (10, 7.11e-4, 52), "D3": (17, 1.03e-5, 72)}
 NAMES = {"t_point": "point", "t_ffsum": "ffsum", "t_lattice": "lattice", "t_dispersion": "dispersion"}
 CONFIGS = {"D1": EncodeConfig("atomic_number"), "D2": EncodeConfig("coordination", options={"cutoff": 10.0}), "D3": EncodeConfig("coulomb")}
