@@ -56,6 +56,19 @@ def arrow_map(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[p
     return df.mapInArrow(fn, schema)
 
 
+def arrow_filter(df: DataFrame, text_col: str, keep: Callable[[list[str]], list[bool]]) -> DataFrame:
+    """The rows whose text ``keep`` accepts, all columns as they were: a map, so nothing is shuffled."""
+    at = df.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = ["" if t is None else str(t) for t in batch.column(at).to_pylist()]
+            yield batch.filter(pa.array(keep(texts), pa.bool_()))
+
+    bounded_batches(df.sparkSession)
+    return df.mapInArrow(run, df.schema)
+
+
 def crc_fold(id_col: str, folds: int) -> Column:
     """crc32 of the id as text, modulo the number of folds."""
     return F.pmod(F.crc32(F.col(id_col).cast("string")), F.lit(folds))

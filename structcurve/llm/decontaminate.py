@@ -10,10 +10,11 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, text_of
+from .common import arrow_filter, arrow_map, text_of
 
 SCHEMA = "doc_id bigint, item_id bigint, score double, question_overlap double, answer_overlap double, word_from int, word_to int"
 WORD = re.compile(r"\w+")
@@ -128,6 +129,16 @@ class ItemIndex:
         return [best[i] for i in sorted(best)]
 
 
+def item_indexes(items: DataFrame, item_col: str = "item_id", item_text: str = "text") -> list[Broadcast]:
+    """The items as indexes of at most about INDEX_BYTES of text each, on their way to the executors."""
+    spark = items.sparkSession
+    bench = items.select(F.col(item_col).cast("bigint").alias("item_id"), text_of(item_text).alias("text")).distinct()
+    total = bench.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    shards = max(1, -(-total // INDEX_BYTES))
+    parts = (bench if shards == 1 else bench.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(shards)) == s) for s in range(shards))
+    return [spark.sparkContext.broadcast(ItemIndex([(r.item_id, r.text) for r in part.collect()])) for part in parts]
+
+
 def contamination(docs: DataFrame, items: DataFrame, threshold: float = 0.5, overlap: float = 0.5, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
     """One row per document and test item found in it: ``doc_id, item_id, score, question_overlap,
     answer_overlap, word_from, word_to``.
@@ -141,16 +152,9 @@ def contamination(docs: DataFrame, items: DataFrame, threshold: float = 0.5, ove
     (ties: the first).  Other columns are ignored.  A map without shuffle: documents are read once per
     index of at most 8 MB of item text, and only such an index is sent to the executors.
     """
-    spark = docs.sparkSession
-    bench = items.select(F.col(item_col).cast("bigint").alias("item_id"), text_of(item_text).alias("text")).distinct()
-    total = bench.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
-    shards = max(1, -(-total // INDEX_BYTES))
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), text_of(text_col).alias("text"))
 
-    def one(shard: int) -> DataFrame:
-        part = bench if shards == 1 else bench.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(shards)) == shard)
-        index = spark.sparkContext.broadcast(ItemIndex([(r.item_id, r.text) for r in part.collect()]))
-
+    def one(index: Broadcast) -> DataFrame:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             own = index.value
             for batch in batches:
@@ -161,10 +165,11 @@ def contamination(docs: DataFrame, items: DataFrame, threshold: float = 0.5, ove
 
         return arrow_map(rows, run, SCHEMA)
 
-    return reduce(DataFrame.union, (one(s) for s in range(shards)))
+    return reduce(DataFrame.union, (one(i) for i in item_indexes(items, item_col, item_text)))
 
 
-def decontaminate(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
-    """The documents without a hit, all columns kept; hits are far fewer than documents."""
-    hit = contamination(docs, items, id_col=id_col, **options).select(F.col("doc_id").alias("_hit")).distinct()
-    return docs.join(hit, docs[id_col].eqNullSafe(F.col("_hit")), "left_anti")
+def decontaminate(docs: DataFrame, items: DataFrame, threshold: float = 0.5, overlap: float = 0.5, text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
+    """The documents without a hit, all columns kept: a map for each index, nothing is shuffled."""
+    for index in item_indexes(items, item_col, item_text):
+        docs = arrow_filter(docs, text_col, lambda texts, index=index: [not index.value.matches(t, threshold, overlap) for t in texts])
+    return docs

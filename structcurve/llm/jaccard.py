@@ -395,7 +395,11 @@ def _links(rows: list[tuple[int, int, int]]) -> pa.RecordBatch:
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
     """The documents without all but the smallest id of each class; all columns kept, repeated rows once."""
-    found = similar_documents(docs, id_col=id_col, **options)
+    found = written(similar_documents(docs, id_col=id_col, **options), "classes")
     extra = found.where(F.col("class_id").isNotNull() & (F.col("doc_id") != F.col("class_id"))).select(F.col("doc_id").alias("_extra")).distinct()
-    kept = docs.join(extra, docs[id_col] == F.col("_extra"), "left_anti")
+    extra = written(extra, "extra-ids")
+    few = extra.count() <= SENT_IDS  # then the documents themselves need not be shuffled
+    kept = docs.join(F.broadcast(extra) if few else extra, docs[id_col] == F.col("_extra"), "left_anti")
+    if found.where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").isEmpty():
+        return kept  # no id repeats: rows need not be gathered by id once more
     return kept.where(F.col(id_col).isNotNull()).dropDuplicates([id_col]).union(kept.where(F.col(id_col).isNull()))

@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, crc_fold, text_of
+from .common import arrow_filter, arrow_map, crc_fold, text_of
 
 SCHEMA = "doc_id bigint, held_out boolean, score double, predicted int"
 #: Bound of the sample of labelled rows that the trees are fitted on.
@@ -196,3 +196,9 @@ def score_quality(docs: DataFrame, model: BoostedTrees, id_col: str = "doc_id",
 def quality(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """Fit and score: see :func:`fit_quality` and :func:`score_quality`."""
     return score_quality(docs, fit_quality(docs, labels, **options))
+
+
+def without_poor(docs: DataFrame, labels: DataFrame, threshold: float = 0.7, text_col: str = "text", **options) -> DataFrame:
+    """The documents that reach the threshold, all columns kept."""
+    sent = docs.sparkSession.sparkContext.broadcast(fit_quality(docs, labels, text_col=text_col, **options))
+    return arrow_filter(docs, text_col, lambda texts: (sent.value.predict(feature_matrix(texts)) >= threshold).tolist())

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, crc_fold, text_of
+from .common import arrow_filter, arrow_map, crc_fold, text_of
 
 SCHEMA = "doc_id bigint, held_out boolean, score double, predicted int, n_hits int, neighbours array<bigint>, similarity array<double>, terms array<string>"
 WORD = re.compile(r"\w+")
@@ -340,6 +340,12 @@ def toxicity(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     return score_toxicity(docs, fit_toxicity(docs, labels, **options))
 
 
+def without_toxic(docs: DataFrame, labels: DataFrame, text_col: str = "text", **options) -> DataFrame:
+    """The documents that are not predicted toxic, all columns kept."""
+    sent = docs.sparkSession.sparkContext.broadcast(fit_toxicity(docs, labels, text_col=text_col, **options))
+    return arrow_filter(docs, text_col, lambda texts: [sent.value.score(t)[0] < 0.5 for t in texts])
+
+
 def plain_neighbours(vectors: Iterable[dict[int, float]], query: dict[int, float], k: int) -> list[tuple[int, float]]:
     """Brute force, for tests."""
     scored = [(i, sum(w * v.get(t, 0.0) for t, w in query.items())) for i, v in enumerate(vectors)]
