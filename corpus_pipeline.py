@@ -6,24 +6,17 @@ Each stage gets all that the one before it kept, written as Parquet and read aga
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from structcurve.llm import decontaminate, jaccard, mixing, quality, toxicity
 from structcurve.llm.common import table, written
 
 
-def _kept(docs: DataFrame, scores: DataFrame, keep: int) -> DataFrame:
-    """Documents whose prediction is ``keep``; the rejected ids are the short side of the join."""
-    rejected = scores.where(F.col("predicted") != keep).select(F.col("doc_id").alias("_rejected")).distinct()
-    return docs.join(rejected, docs["doc_id"].eqNullSafe(F.col("_rejected")), "left_anti")
-
-
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _kept(docs, toxicity.toxicity(docs, table(spark, sf_dir, "labels")), 0)
+    return toxicity.without_toxic(docs, table(spark, sf_dir, "labels"))
 
 
 def drop_poor(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _kept(docs, quality.quality(docs, table(spark, sf_dir, "labels")), 1)
+    return quality.without_poor(docs, table(spark, sf_dir, "labels"))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
