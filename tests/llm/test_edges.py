@@ -88,3 +88,23 @@ def test_conversations(spark):
     assert len(got[1].recovered) == len(ROWS) + 2 and got[None].recovered[0].text == "s"
     assert {t.role for t in got[1].recovered} >= {"", "a]b", "user", "assistant"}
     assert chat.chat_digests(chat.format_chats(talks(spark, []))).collect() == []
+
+
+FILTERS = {
+    "toxicity": lambda s, d: toxicity.without_toxic(d, labels(s)),
+    "quality": lambda s, d: quality.without_poor(d, labels(s)),
+    "leaks": lambda s, d: decontaminate.decontaminate(d, items(s)),
+    "copies": lambda s, d: jaccard.keep_one(d),
+}
+
+
+@pytest.mark.parametrize("name", FILTERS)
+def test_filters_keep_columns(spark, name):
+    df = docs(spark)
+    out = FILTERS[name](spark, df)
+    assert out.columns == df.columns and FILTERS[name](spark, docs(spark, [])).collect() == []
+    got = sorted(str(r.doc_id) for r in out.collect())
+    if name == "leaks":
+        assert got == sorted(str(r[0]) for r in ROWS if r[0] != 1)
+    if name == "copies":
+        assert got == ["1", "2", "4", "6", "None"]
