@@ -133,8 +133,7 @@ def mixture(docs: DataFrame, share: float = 1.5, cap: float = 2.0, weights: tupl
     shard_slots = max(1024, math.isqrt(slots) if slots else 1)
     drawn = drawn_slots(targets, block, slots, shard_slots).where(F.col("epoch") < F.lit(math.floor(cap)))
     ranks = targets.select(F.col("source").alias("_source"), "rank")
-    long = placed.where("size > 0").join(F.broadcast(ranks), F.col("source").eqNullSafe(F.col("_source")))
-    # every source's name is sent to all: one short row per source
+    long = placed.where("size > 0").join(ranks, F.col("source").eqNullSafe(F.col("_source")))
     b = F.lit(block).cast("bigint")
     pieces = long.select("rank", "doc_id", "size", "start", F.explode(F.sequence(F.floor(F.col("start") / b), F.floor((F.col("start") + F.col("size") - 1) / b))).alias("block"))
     pieces = pieces.withColumn("word_from", F.greatest(F.col("block") * b - F.col("start"), F.lit(0))).withColumn("word_to", F.least((F.col("block") + 1) * b - F.col("start"), F.col("size")))
@@ -152,7 +151,7 @@ def mixed_documents(docs: DataFrame, **options) -> DataFrame:
     placed, targets, pieces = mixture(docs, **options)
     taken = pieces.groupBy("rank", "start", "doc_id").agg(F.sum(F.col("word_to") - F.col("word_from")).alias("taken"))
     t = targets.select(F.col("source").alias("_source"), "rank", "source_size", "target")
-    rows = placed.join(F.broadcast(t), F.col("source").eqNullSafe(F.col("_source")), "left")
+    rows = placed.join(t, F.col("source").eqNullSafe(F.col("_source")), "left")
     k = taken.select(F.col("rank").alias("_rank"), F.col("start").alias("_start"), F.col("doc_id").alias("_id"), F.col("taken").alias("_taken"))
     joined = rows.join(k, (F.col("rank") == F.col("_rank")) & (F.col("start") == F.col("_start")) & F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("size") > 0), "left")
     return joined.select("doc_id", "size", "source_size", "target", F.coalesce("_taken", F.lit(0)).cast("bigint").alias("taken"), "source")
