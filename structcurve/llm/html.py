@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import html as entities
 import re
-from bisect import bisect_left
+from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -168,59 +168,104 @@ def host_and_path(url: str) -> tuple[str, str]:
     return host.lower(), re.split(r"[?#]", "/" + path, maxsplit=1)[0]
 
 
+def _key(host: str, path: str, page_id: int | None, tie: int) -> tuple:
+    """A page's place in URL order, as Spark sorts it (null ids first)."""
+    return host, path, page_id is not None, page_id or 0, tie
+
+
+def url_ranges(keys: DataFrame, chunk: int, tasks: int) -> tuple[list[tuple], list[tuple]]:
+    """The first and the last key of each run of about ``chunk`` pages in URL order; equal keys share a run."""
+
+    def borders(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, n = None, 0
+        for batch in batches:
+            out = []  # (row, is it the first of its range)
+            for row in zip(*(batch.column(i).to_pylist() for i in range(4))):
+                if last is None or n >= chunk and row != last:
+                    out += [(last, False)] * (last is not None) + [(row, True)]
+                    n = 0
+                last, n = row, n + 1
+            yield _borders(out)
+        if last is not None:
+            yield _borders([(last, False)])
+
+    dealt = keys.repartitionByRange(tasks, *keys.columns).sortWithinPartitions(*keys.columns)
+    found = arrow_map(dealt, borders, "host string, path string, page_id bigint, tie bigint, first boolean").collect()
+    return tuple(sorted(_key(*r[:4]) for r in found if r.first is first) for first in (True, False))
+
+
+def _borders(rows: list[tuple]) -> pa.RecordBatch:
+    kinds = (pa.string(), pa.string(), pa.int64(), pa.int64())
+    return pa.RecordBatch.from_arrays([*(pa.array([r[i] for r, _ in rows], k) for i, k in enumerate(kinds)), pa.array([f for _, f in rows], pa.bool_())], ["host", "path", "page_id", "tie", "first"])
+
+
 def extract_text(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", least_chunk: int = 200) -> DataFrame:
     """One row per page: ``page_id, url, text, n_chars`` and ``n_shared``, the lines shared with neighbours.
 
     Pages of a host are ordered by URL path; each is differenced with the one before and after it.
-    A host with more than C pages is dealt by a hash of the page id into parts of about C, where C is
-    ``least_chunk`` or a 20,000th of all pages if that is more: so at most 20,000 hosts are looked up by
-    broadcast and no task gets a whole hot host.  Null html gives an empty text, a null url counts as
-    an empty host; ids may be null or repeat (ties in the order go by id, then html); empty tables give empty
-    tables; other columns are ignored.  Each page's lines travel once and stream through the task.
+    The order is cut into ranges of about C pages, where C is ``least_chunk`` or a 20,000th of all pages
+    if that is more: a first pass sorts the pages' keys alone and notes the first and last key of each range, and these
+    (at most about 20,000 ranges and one for each task) are broadcast.  A range's border pages travel to the range
+    beside it too, so every page meets its true neighbours whatever the size of its host or of the table, and no
+    task gets a whole hot host.  Null html gives an empty text, a null url counts as an empty host; ids
+    may be null or repeat (ties in the order go by id, then by a hash of the html; rows equal in all of these stay in one range);
+    empty tables give empty tables; other columns are ignored.  Each page's lines travel once, a border page's
+    up to three times, and stream through the task.
     """
-    rows = pages.select(F.col(id_col).cast("bigint").alias("page_id"), F.col(url_col).cast("string").alias("url"), text_of(html_col).alias("html"))
-    host = F.lower(F.coalesce(F.regexp_extract(F.col(url_col).cast("string"), r"^(?:[a-zA-Z][a-zA-Z0-9+.-]*:)?(?://)?([^/]*)", 1), F.lit("")))
-    total = pages.count()
-    chunk = max(least_chunk, total // 20_000)
-    large = {r.host: -(-r.n // chunk) for r in pages.groupBy(host.alias("host")).agg(F.count("*").alias("n")).where(F.col("n") > chunk).collect()}
-    parts = pages.sparkSession.sparkContext.broadcast(large)
+    rows = pages.select(F.col(id_col).cast("bigint").alias("page_id"), F.col(url_col).cast("string").alias("url"), text_of(html_col).alias("html"), F.xxhash64(text_of(html_col)).alias("tie"))
+
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            where = [host_and_path(url) for url in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array([w[0] for w in where], pa.string()), pa.array([w[1] for w in where], pa.string()), batch.column(0), batch.column(2)], ["host", "path", "page_id", "tie"])
+
+    keys = arrow_map(rows.select("page_id", "url", "tie"), place, "host string, path string, page_id bigint, tie bigint")
+    tasks = int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    ranges = pages.sparkSession.sparkContext.broadcast(url_ranges(keys, max(least_chunk, pages.count() // 20_000), tasks))
 
     def parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        firsts, lasts = ranges.value
+        kinds = (pa.int64(), pa.string(), pa.int32(), pa.bool_(), pa.string(), pa.string(), pa.int64(), pa.list_(pa.string()), pa.list_(pa.int8()))
         for batch in batches:
-            keys, paths, lines, places = [], [], [], []
-            for page_id, url, page in zip(*(batch.column(i).to_pylist() for i in range(3))):
-                h, path = host_and_path(url)
-                n = parts.value.get(h, 1)
-                keys.append(f"{h} {((page_id or 0) * 2654435761 & 0xFFFFFFFF) % n if n > 1 else 0}")
-                paths.append(path)
+            out = []
+            for page_id, url, page, tie in zip(*(batch.column(i).to_pylist() for i in range(4))):
+                host, path = host_and_path(url)
+                key = _key(host, path, page_id, tie)
+                k = max(0, bisect_right(firsts, key) - 1)
                 found = page_lines(page)
-                lines.append([t for _, t in found])
-                places.append([p for p, _ in found])
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(keys, pa.string()), pa.array(paths, pa.string()), pa.array(lines, pa.list_(pa.string())), pa.array(places, pa.list_(pa.int8()))], ["page_id", "url", "chunk", "path", "lines", "places"])
+                row = (host, path, tie, [t for _, t in found], [p for p, _ in found])
+                out.append((page_id, url, k, False, *row))
+                if k and key == firsts[k] and lasts[k - 1][0] == host:
+                    out.append((page_id, url, k - 1, True, *row))
+                if k + 1 < len(firsts) and key == lasts[k] and firsts[k + 1][0] == host:
+                    out.append((page_id, url, k + 1, True, *row))
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate(kinds)], ["page_id", "url", "chunk", "border", "host", "path", "tie", "lines", "places"])
 
     def difference(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         before: tuple | None = None  # (row, its left neighbour's lines)
 
-        def finish(row: tuple, left: list | None, right: list | None) -> tuple:
+        def finish(row: tuple, left: list | None, right: list | None) -> list[tuple]:
+            if row[4]:
+                return []  # a page of the range beside this one
             text, n = main_text(row[3], [x for x in (left, right) if x is not None])
-            return row[0], row[1], text, len(text), n
+            return [(row[0], row[1], text, len(text), n)]
 
         for batch in batches:
             out = []
-            for page_id, url, chunk, _, lines, places in zip(*(batch.column(i).to_pylist() for i in range(6))):
-                row = (page_id, url, chunk, list(zip(places, lines)))
+            for page_id, url, chunk, border, host, lines, places in zip(*(batch.column(i).to_pylist() for i in (0, 1, 2, 3, 4, 7, 8))):
+                row = (page_id, url, (chunk, host), list(zip(places, lines)), border)
                 left = None
                 if before:
-                    same = before[0][2] == chunk
-                    out.append(finish(before[0], before[1], row[3] if same else None))
+                    same = before[0][2] == row[2]
+                    out += finish(before[0], before[1], row[3] if same else None)
                     left = before[0][3] if same else None
                 before = (row, left)
             yield _texts(out)
         if before:
-            yield _texts([finish(before[0], before[1], None)])
+            yield _texts(finish(before[0], before[1], None))
 
-    parsed = arrow_map(rows, parse, "page_id bigint, url string, chunk string, path string, lines array<string>, places array<tinyint>")
-    dealt = parsed.repartition("chunk").sortWithinPartitions("chunk", "path", "page_id", "lines")
+    parsed = arrow_map(rows, parse, "page_id bigint, url string, chunk int, border boolean, host string, path string, tie bigint, lines array<string>, places array<tinyint>")
+    dealt = parsed.repartition("chunk").sortWithinPartitions("chunk", "host", "path", "page_id", "tie")
     return arrow_map(dealt, difference, SCHEMA)
 
 

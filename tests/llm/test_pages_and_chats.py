@@ -59,6 +59,15 @@ def test_operator_pairs_within_hosts(spark):
     assert all(got[i].text == f"Site name\ntext {i}" for i in range(40, 45))
 
 
+def test_pages_of_a_large_host_meet_their_url_neighbours(spark):
+    page = lambda i: f"<div>Section {i // 4}</div><p>text {i}</p>"
+    rows = [(i * 7919 % 1000, f"http://{'hot' if i < 120 else 'other'}.example/s{i // 4:03d}/{i:03d}", page(i)) for i in range(160)] + [(None, None, page(400 + i // 2)) for i in range(8)]
+    pages = spark.createDataFrame(rows, "page_id bigint, url string, html string")
+    got = {c: sorted((r.page_id or -1, r.url or "", r.text, r.n_shared) for r in html.extract_text(pages, least_chunk=c).collect()) for c in (1, 3, 10, 1000)}
+    assert all(got[c] == got[1000] for c in got) and len(got[1]) == len(rows)
+    assert {(i, t, n) for i, u, t, n in got[3] if u} == {(r[0], f"text {i}", 1) for i, r in enumerate(rows[:160])}
+
+
 def test_host_and_path():
     assert html.host_and_path("HTTP://A.example/p/q?x#y") == ("a.example", "/p/q") and html.host_and_path(None) == ("", "/")
 
