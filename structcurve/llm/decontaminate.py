@@ -6,6 +6,7 @@ import math
 import re
 from collections import Counter
 from collections.abc import Iterator
+from dataclasses import dataclass
 from functools import reduce
 
 import numpy as np
@@ -14,7 +15,7 @@ from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_filter, arrow_map, text_of
+from .common import arrow_filter, arrow_map, text_of, written
 
 SCHEMA = "doc_id bigint, item_id bigint, score double, question_overlap double, answer_overlap double, word_from int, word_to int"
 WORD = re.compile(r"\w+")
@@ -42,34 +43,49 @@ def grams(words: list[str], n: int) -> set[tuple[str, ...]]:
     return {tuple(words[i : i + n]) for i in range(len(words) - n + 1)} if n else set()
 
 
+@dataclass(frozen=True)
+class ItemStatistics:
+    """What BM25 needs to know of all items, whichever of them an index holds."""
+
+    items: int  #: items with words
+    words: int  #: their words
+    longest: int  #: words of the longest
+    df: dict[str, int]  #: items with a term, for the terms of one index at least
+
+    @classmethod
+    def of(cls, words: list[list[str]]) -> ItemStatistics:
+        return cls(len(words), sum(map(len, words)), max(map(len, words), default=1), Counter(t for w in words for t in set(w)))
+
+
 class ItemIndex:
     """BM25 impacts of the items' terms, each divided by the item's score against itself.
 
     Items lie in blocks, and for each term the largest impact in each block is kept: the sum over a
     passage's words bounds every score in the block, so most blocks are never opened.  No candidate
-    above the threshold is lost.
+    above the threshold is lost.  ``whole`` has the statistics if the items are only some of all.
     """
 
-    def __init__(self, items: list[tuple[int, str]], k1: float = 1.2, b: float = 0.75, block: int = 8, gram: int = 3):
+    def __init__(self, items: list[tuple[int, str]], k1: float = 1.2, b: float = 0.75, block: int = 8, gram: int = 3, whole: ItemStatistics | None = None):
         kept = [(i, t, w) for i, t in sorted(items) if (w := words_of(t))]
         self.ids = [i for i, _, _ in kept]
         self.gram = gram
         counts = [Counter(w) for _, _, w in kept]
-        df = Counter(t for c in counts for t in c)
-        self.terms = {t: j for j, t in enumerate(sorted(df))}
-        mean = sum(len(w) for _, _, w in kept) / max(1, len(kept))
-        self.length = max((len(w) for _, _, w in kept), default=1)
+        whole = whole or ItemStatistics.of([w for _, _, w in kept])
+        df = whole.df
+        self.terms = {t: j for j, t in enumerate(sorted({t for c in counts for t in c}))}
+        mean = whole.words / max(1, whole.items)
+        self.length = whole.longest
         self.block, self.blocks = block, -(-len(kept) // block)
         self.impact: list[dict[int, float]] = [{} for _ in self.terms]
         self.bound = np.zeros((len(self.terms) + 1, self.blocks))  # the last row stands for other words
         for i, c in enumerate(counts):
             norm = k1 * (1 - b + b * sum(c.values()) / mean)
-            w = {t: math.log(1 + (len(kept) - df[t] + 0.5) / (df[t] + 0.5)) * n * (k1 + 1) / (n + norm) for t, n in c.items()}
-            whole = sum(w.values())
+            w = {t: math.log(1 + (whole.items - df[t] + 0.5) / (df[t] + 0.5)) * n * (k1 + 1) / (n + norm) for t, n in c.items()}
+            own = sum(w.values())
             for t, v in w.items():
                 j = self.terms[t]
-                self.impact[j][i] = v / whole
-                self.bound[j, i // block] = max(self.bound[j, i // block], v / whole)
+                self.impact[j][i] = v / own
+                self.bound[j, i // block] = max(self.bound[j, i // block], v / own)
         self.postings = [(np.array(list(p), np.int64), np.array(list(p.values()))) for p in self.impact]
         self.parts = []
         for _, t, _ in kept:
@@ -130,13 +146,36 @@ class ItemIndex:
 
 
 def item_indexes(items: DataFrame, item_col: str = "item_id", item_text: str = "text") -> list[Broadcast]:
-    """The items as indexes of at most about INDEX_BYTES of text each, on their way to the executors."""
+    """The items as indexes of at most about INDEX_BYTES of text each, on their way to the executors.
+
+    Several indexes share the statistics of all items: counts and lengths come from one aggregate, and
+    each index gets the document frequencies of its own terms.
+    """
     spark = items.sparkSession
     bench = items.select(F.col(item_col).cast("bigint").alias("item_id"), text_of(item_text).alias("text")).distinct()
     total = bench.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     shards = max(1, -(-total // INDEX_BYTES))
-    parts = (bench if shards == 1 else bench.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(shards)) == s) for s in range(shards))
-    return [spark.sparkContext.broadcast(ItemIndex([(r.item_id, r.text) for r in part.collect()])) for part in parts]
+    if shards == 1:
+        return [spark.sparkContext.broadcast(ItemIndex([(r.item_id, r.text) for r in bench.collect()]))]
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            words = [words_of(t) for t in batch.column(1).to_pylist()]
+            kinds = (pa.int64(), pa.int64(), pa.list_(pa.string()))
+            rows = [(s, len(w), sorted(set(w))) for s, w in zip(batch.column(0).to_pylist(), words) if w]
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], ["shard", "n", "terms"])
+
+    bench = written(bench.withColumn("shard", F.pmod(F.xxhash64("item_id", "text"), F.lit(shards))), "items")
+    counted = written(arrow_map(bench.select("shard", "text"), count, "shard bigint, n bigint, terms array<string>"), "item-words")
+    sums = counted.agg(F.count("*").alias("items"), F.coalesce(F.sum("n"), F.lit(0)).alias("words"), F.coalesce(F.max("n"), F.lit(1)).alias("longest")).first()
+    terms = counted.select("shard", F.explode("terms").alias("term")).groupBy("term", "shard").agg(F.count("*").alias("n"))
+    df = terms.groupBy("term").agg(F.sum("n").alias("df"), F.collect_list("shard").alias("shards"))
+    df = written(df.select(F.explode("shards").alias("shard"), "term", "df"), "item-terms")
+    out = []
+    for s in range(shards):
+        whole = ItemStatistics(sums.items, sums.words, sums.longest, {r.term: r.df for r in df.where(F.col("shard") == s).collect()})
+        out.append(spark.sparkContext.broadcast(ItemIndex([(r.item_id, r.text) for r in bench.where(F.col("shard") == s).collect()], whole=whole)))
+    return out
 
 
 def contamination(docs: DataFrame, items: DataFrame, threshold: float = 0.5, overlap: float = 0.5, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
@@ -149,7 +188,8 @@ def contamination(docs: DataFrame, items: DataFrame, threshold: float = 0.5, ove
     ``overlap`` of the question's and of the answer's three-word runs in the window.  Null and empty
     texts and items have no passages and give no rows; a null doc_id is kept; repeated rows repeat their
     hits; repeated items are one if id and text agree; the best window of a document stands for the rest
-    (ties: the first).  Other columns are ignored.  A map without shuffle: documents are read once per
+    (ties: the first).  Item counts, frequencies and lengths are of all items, however many indexes they fill.
+    Other columns are ignored.  A map without shuffle: documents are read once per
     index of at most 8 MB of item text, and only such an index is sent to the executors.
     """
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), text_of(text_col).alias("text"))

@@ -49,6 +49,21 @@ def test_planted_passages(spark):
     assert kept == {r[0] for r in rows} - {i for i in range(0, 30, 3)}
 
 
+def test_one_index_and_many_agree(spark, monkeypatch):
+    rng = random.Random(7)
+    vocab = [f"w{i}" for i in range(40)]
+    texts = [" ".join(rng.choices(vocab, k=rng.randint(6, 40))) + ". " + " ".join(rng.choices(vocab, k=5)) + "." for _ in range(40)] + ["", "!?"]
+    docs = [(i, " ".join(rng.choices(vocab, k=30)) + " " + " ".join(t.split()[rng.randint(0, 3) :]) + " " + " ".join(rng.choices(vocab, k=90))) for i, t in enumerate(texts)]
+    docs = spark.createDataFrame(docs, "doc_id bigint, text string")
+    bench = spark.createDataFrame(list(enumerate(texts)), "item_id bigint, text string")
+    one = sorted(map(tuple, D.contamination(docs, bench, overlap=0.3).collect()))
+    kept = sorted(r.doc_id for r in D.decontaminate(docs, bench, overlap=0.3).collect())
+    monkeypatch.setattr(D, "INDEX_BYTES", 1500)
+    assert len(D.item_indexes(bench)) > 2
+    assert one and sorted(map(tuple, D.contamination(docs, bench, overlap=0.3).collect())) == one
+    assert sorted(r.doc_id for r in D.decontaminate(docs, bench, overlap=0.3).collect()) == kept
+
+
 def test_question_and_answer_of_one_sentence():
     q, a = D.question_and_answer("one two three four five six")
     assert (q, a) == (["one", "two", "three", "four"], ["five", "six"])
