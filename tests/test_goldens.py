@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from structcurve.functions import curves, vectors
 from structcurve.operators import curation, descriptors, encode, lsi, metrics
+from structcurve.plans import methods
 from structcurve.sources.tables import load
 
 
@@ -82,3 +83,24 @@ def test_curation_counts(spark):
     r = audit.first()
     assert (r["all"], r.elements, r.r_factor, r.temperature, r.molecules, r.distinct, r.disorder, r.coordinates, r.rules, r.kept) == (2000, 2000, 1781, 1942, 1940, 1669, 1943, 2000, 1358, 1310)
     assert kept.count() == 1310
+
+
+def test_wide_order_is_checked_on_all_lines(spark, tmp_path, monkeypatch):
+    rows = [(k, k // 7, 3, 1) for k in (1, 5, 32767, 32768, 40_001, 150_000, (1 << 24) - 1)]
+    spark.createDataFrame(rows, "l_orderkey bigint, l_partkey bigint, l_suppkey bigint, l_linenumber int").write.parquet(f"{tmp_path}/lineitem.parquet")
+    assert tuple(methods.m13b(spark, str(tmp_path)).select("codes", "ordered").first()) == (len(rows), True)
+    right = curves.morton_encode_wide
+    monkeypatch.setattr(methods.curves, "morton_encode_wide", lambda cols, *a: F.when(F.col(cols[0]) > 100_000, F.reverse(right(cols, *a))).otherwise(right(cols, *a)))
+    assert not methods.m13b(spark, str(tmp_path)).first().ordered
+
+
+def test_fold_in_is_checked_on_all_structures_and_places(spark, monkeypatch):
+    right, calls = lsi.reduce_structures, []
+
+    def wrong(*args):
+        calls.append(1)
+        moved = F.when(F.col("structure_id") % 5 == 3, F.transform("vec", lambda x, i: x + (i == 2).cast("double"))).otherwise(F.col("vec"))
+        return right(*args) if len(calls) == 1 else right(*args).withColumn("vec", moved)
+
+    monkeypatch.setattr(methods.lsi, "reduce_structures", wrong)
+    assert not methods.m20a(spark, "/root/testdata/sf0.001").first().same_as_fitted
