@@ -30,11 +30,51 @@ def test_all_items_above_the_threshold_are_found():
     for _ in range(60):
         words = rng.choices(vocab + ["zzz"], k=40)
         ids = np.array([index.terms.get(w, len(index.terms)) for w in words])
-        found = {index.ids[i]: s for _, i, s in index.candidates(ids, [(0, len(words))], 0.4)}
+        found = {index.ids[i]: s for _, i, s in index.candidates(ids, len(words), 0.4)}
         exact = {i: s for i, s in brute_scores(items, words).items() if s >= 0.4 + 1e-9}
         assert set(exact) <= set(found) and all(abs(found[i] - s) < 1e-9 for i, s in exact.items())
 
 
+def test_windows_are_searched_like_passages_of_their_own(monkeypatch):
+    rng = random.Random(8)
+    vocab = [f"w{i}" for i in range(50)]
+    items = [(i, " ".join(rng.choices(vocab, k=rng.randint(5, 25)))) for i in range(40)]
+    index = D.ItemIndex(items, block=4)
+    for n in (1, 9, 10, 11, 20, 21, 95, 300):
+        words = rng.choices(vocab, k=n)
+        ids = np.array([index.terms.get(w, len(index.terms)) for w in words])
+        got = {(w, index.ids[i]): s for w, i, s in index.candidates(ids, 10, 0.45)}
+        want = {}
+        for w in range(max(1, -(-n // 10) - 1)):
+            want |= {(w, i): s for i, s in brute_scores(items, words[w * 10 : (w + 2) * 10]).items() if s >= 0.45 - 1e-12}
+        assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-9 for k in want)
+
+
+def test_a_full_index_is_small_and_fast():
+    """8 MB of items and one text of 20,000 words: memory and time stay bounded."""
+    import pickle
+    import time
+
+    rng = np.random.default_rng(5)
+    vocab = np.array([f"{'abcdefghij'[i % 10]}{i}" for i in range(60_000)])
+    zipf = lambda n: vocab[np.minimum(59_999, (rng.pareto(0.9, n) * 30).astype(int))]
+    items, size = [], 0
+    while size < D.INDEX_BYTES:
+        t = " ".join(zipf(60))
+        items.append((len(items), t))
+        size += len(t)
+    index = D.ItemIndex(items)
+    assert len(pickle.dumps(index)) < 150 << 20
+    words = zipf(20_000).tolist()
+    words[10_000:10_000] = items[77][1].split()
+    text = " ".join(words)
+    index.matches(text[:500], 0.5, 0.5)
+    start = time.process_time()
+    found = index.matches(text, 0.5, 0.5)
+    took = time.process_time() - start
+    assert 77 in {f[0] for f in found} and took < 2, took
+
+
 def test_planted_passages(spark):
     rng = random.Random(1)
     noise = lambda n: " ".join("".join(rng.choices("abcdefgh", k=6)) for _ in range(n))
@@ -59,7 +99,7 @@ def test_one_index_and_many_agree(spark, monkeypatch):
     one = sorted(map(tuple, D.contamination(docs, bench, overlap=0.3).collect()))
     kept = sorted(r.doc_id for r in D.decontaminate(docs, bench, overlap=0.3).collect())
     monkeypatch.setattr(D, "INDEX_BYTES", 1500)
-    assert len(D.item_indexes(bench)) > 2
+    assert sum(1 for _ in D.item_indexes(bench)) > 2
     assert one and sorted(map(tuple, D.contamination(docs, bench, overlap=0.3).collect())) == one
     assert sorted(r.doc_id for r in D.decontaminate(docs, bench, overlap=0.3).collect()) == kept
 
