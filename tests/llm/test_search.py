@@ -57,7 +57,7 @@ def test_a_full_index_is_small_and_fast():
 
     rng = np.random.default_rng(5)
     vocab = np.array([f"{'abcdefghij'[i % 10]}{i}" for i in range(60_000)])
-    zipf = lambda n: vocab[np.minimum(59_999, (rng.pareto(0.9, n) * 30).astype(int))]
+    zipf = lambda n: vocab[np.minimum(59_999, (rng.pareto(0.9, n) * 300).astype(int))]
     items, size = [], 0
     while size < D.INDEX_BYTES:
         t = " ".join(zipf(60))
@@ -69,9 +69,9 @@ def test_a_full_index_is_small_and_fast():
     words[10_000:10_000] = items[77][1].split()
     text = " ".join(words)
     index.matches(text[:500], 0.5, 0.5)
-    start = time.process_time()
+    start = time.thread_time()
     found = index.matches(text, 0.5, 0.5)
-    took = time.process_time() - start
+    took = time.thread_time() - start
     assert 77 in {f[0] for f in found} and took < 2, took
 
 
