@@ -18,6 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import arrow_map, text_of, written
 
@@ -215,6 +216,13 @@ def components(edges: DataFrame, most: int = 50) -> DataFrame:
     return now.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("root"))
 
 
+def head_of(shingles: np.ndarray) -> str:
+    """A set's name: 128 bits of hash and its size; empty for the empty set."""
+    if not len(shingles):
+        return ""
+    return f"{int(mix(shingles).sum(dtype=np.uint64)):016x}{int(mix(shingles ^ _GOLD).sum(dtype=np.uint64)):016x}{len(shingles):x}"
+
+
 def similar_documents(docs: DataFrame, threshold: float = 0.8, shingle: int = 5, recall: float = 0.995, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: ``doc_id, class_id, n_links``.
 
@@ -222,12 +230,22 @@ def similar_documents(docs: DataFrame, threshold: float = 0.8, shingle: int = 5,
     is the number of other documents whose set of ``shingle``-word runs (of lower-case words; shorter texts are one
     run) reaches the threshold.  Equal sets are one representative with a count, so copies are never
     expanded; texts without words have equal (empty) sets.  Null ids can name no class: such rows get
-    null and 0 links.  Repeated rows are copies; ties go to the smallest id; empty tables give empty
-    tables; other columns are ignored.  Nothing is capped: buckets above BUCKET are split, then compared block by
-    block, and groups above BLOCK are verified block against block.
+    null and 0 links.  Rows, not ids, are documents: repeated rows are copies, and an id on two different
+    texts is two documents, each linked by its own text (their classes may both be named by that id).
+    Ties go to the smallest id; empty tables give empty tables; other columns are ignored.  Nothing is
+    capped: buckets above BUCKET are split, then compared block by block, and groups above BLOCK are
+    verified block against block.
+    """
+    return classified(docs, threshold, shingle, recall, id_col, text_col)[0].select("doc_id", "class_id", "n_links")
+
+
+def classified(docs: DataFrame, threshold: float = 0.8, shingle: int = 5, recall: float = 0.995, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+    """(``doc_id, head, root, class_id, n_links`` of each row, the ids that occur in several rows).
+
+    Inside, a set goes by ``rep``, a 64-bit hash of its head; that no two share one is checked, and another
+    salt is taken if they do.  ``root`` is the smallest rep of the class.
     """
     runs = runs_for(recall)
-    spark = docs.sparkSession
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), text_of(text_col).alias("text"))
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -236,24 +254,30 @@ def similar_documents(docs: DataFrame, threshold: float = 0.8, shingle: int = 5,
             heads, sketches, keys = [], [], []
             for text in batch.column(1).to_pylist():
                 s = cut(text)
+                heads.append(head_of(s))
                 if len(s):
                     m = signature(s)
-                    heads.append(f"{int(mix(s).sum(dtype=np.uint64)):016x}{int(mix(s ^ _GOLD).sum(dtype=np.uint64)):016x}{len(s):x}")
                     sketches.append((m & np.uint64(255)).astype(np.uint8).tobytes())
                     keys.append(first_keys(m, runs, threshold).view(np.int64).tolist())
                 else:
-                    heads.append("")
                     sketches.append(b"")
                     keys.append([])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(heads, pa.string()), pa.array(sketches, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], ["doc_id", "head", "sketch", "keys"])
 
     signed = written(arrow_map(rows, sign, "doc_id bigint, head string, sketch binary, keys array<bigint>"), "signed")
     known = signed.where("doc_id is not null")
-    tally = known.groupBy("head").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"))
-    # of a head, the row of the smallest id; sketch and keys depend on the head alone
-    reps = known.join(tally.select(F.col("head").alias("_h"), F.col("rep").alias("doc_id")), "doc_id").where("head = _h").dropDuplicates(["doc_id", "head"]).select("head", F.col("doc_id").alias("rep"), "sketch", "keys")
-    tally = written(tally, "tally")
-    reps = written(reps, "reps")
+    repeated = written(known.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id"), "repeated-ids")
+    unique = repeated.isEmpty()
+    heads = written(known.groupBy("head").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("copies")), "heads")
+    for salt in range(64):
+        tally = heads.withColumn("rep", F.xxhash64("head", F.lit(salt)))
+        n = tally.agg(F.count("*").alias("n"), F.count_distinct("rep").alias("reps")).first()
+        if n.n == n.reps:
+            break
+    # of a head, one row of the smallest id; sketch and keys depend on the head alone
+    first = tally.select(F.col("head").alias("_h"), F.col("first_id").alias("_i"), "rep")
+    reps = known.join(first, (F.col("doc_id") == F.col("_i")) & (F.col("head") == F.col("_h"))).select("rep", "sketch", "keys")
+    reps = written(reps if unique else reps.dropDuplicates(["rep"]), "reps")
 
     pairs = reps.select("rep", F.explode("keys").alias("key"))
     met = pairs.join(_counted(pairs), "key")
@@ -276,13 +300,18 @@ def similar_documents(docs: DataFrame, threshold: float = 0.8, shingle: int = 5,
     groups = components(edges)
     # a root belongs to its own group
     groups = written(groups.union(groups.select(F.col("root").alias("node"), "root").distinct()).distinct(), "groups")
-    exact = _verified(rows, tally, groups, shingle, threshold)
-    classes = components(exact.where("rep <> mate").select(F.col("rep").alias("a"), F.col("mate").alias("b")))
+    exact = _verified(rows, tally, groups, shingle, threshold, unique)
+    classes = written(components(exact.where("rep <> mate").select(F.col("rep").alias("a"), F.col("mate").alias("b"))).withColumnRenamed("node", "rep"), "classes")
     links = exact.groupBy("rep").agg(F.sum("links").alias("links"))
-    per_head = tally.join(links, "rep", "left").join(classes.withColumnRenamed("node", "rep"), "rep", "left").select("head", F.coalesce("root", "rep").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
-    out = known.select("doc_id", "head").join(per_head, "head").select("doc_id", "class_id", "n_links")
-    lost = signed.where("doc_id is null").select("doc_id", F.lit(None).cast("bigint").alias("class_id"), F.lit(0).cast("bigint").alias("n_links"))
-    return out.union(lost)
+    # a class is named by its smallest id; its root has no row of its own in classes
+    members = classes.union(classes.select(F.col("root").alias("rep"), "root").distinct()).distinct()
+    names = members.join(tally.select("rep", "first_id"), "rep").groupBy("root").agg(F.min("first_id").alias("class_id"))
+    named = written(members.join(names, "root"), "named")
+    per_head = tally.join(links, "rep", "left").join(named, "rep", "left").select("head", F.coalesce("root", "rep").alias("root"), F.coalesce("class_id", "first_id").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
+    out = known.select("doc_id", "head").join(per_head, "head").select("doc_id", "head", "root", "class_id", "n_links")
+    none = F.lit(None).cast("bigint")
+    lost = signed.where("doc_id is null").select("doc_id", "head", none.alias("root"), none.alias("class_id"), F.lit(0).cast("bigint").alias("n_links"))
+    return out.union(lost), repeated
 
 
 def _counted(rows: DataFrame) -> DataFrame:
@@ -344,22 +373,28 @@ def _compared(rows: DataFrame, threshold: float) -> DataFrame:
     return arrow_map(dealt, run, "a bigint, b bigint").distinct()
 
 
-def _verified(rows: DataFrame, tally: DataFrame, groups: DataFrame, shingle: int, threshold: float) -> DataFrame:
-    """``rep, mate, links``: linked copies found in one pair of blocks, and the smallest member linked there."""
+def _verified(rows: DataFrame, tally: DataFrame, groups: DataFrame, shingle: int, threshold: float, unique: bool) -> DataFrame:
+    """``rep, mate, links``: linked copies found in one pair of blocks, and the smallest member linked there.
+
+    A set is cut again from a text of the head's smallest id; where ids are not ``unique`` its head tells which.
+    """
     size = written(groups.groupBy("root").agg(F.count("*").alias("n")), "group-sizes")
-    members = groups.join(size, "root").join(tally.select(F.col("rep").alias("node"), "copies", "head"), "node")
+    members = groups.join(size, "root").withColumnRenamed("node", "rep").join(tally, "rep")
     members = written(members, "members")
     few = members.count() <= SENT_IDS
-    plan = members.select(F.col("node").alias("doc_id"), "root", "n", "copies")
-    texts = rows.join(F.broadcast(plan) if few else plan, "doc_id").dropDuplicates(["doc_id", "root"])
+    plan = members.select(F.col("first_id").alias("doc_id"), "root", "rep", "n", "copies", "head")
+    texts = rows.join(F.broadcast(plan) if few else plan, "doc_id")
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         make = Shingler(shingle)
         for batch in batches:
-            sets = pa.array([make(t).tobytes() for t in batch.column(4).to_pylist()], pa.binary())
-            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(4)), sets], ["root", "rep", "n", "copies", "set"])
+            sets = [make(t) for t in batch.column(5).to_pylist()]
+            right = pa.array([head_of(s) == h for s, h in zip(sets, batch.column(4).to_pylist())], pa.bool_())
+            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(4)), pa.array([s.tobytes() for s in sets], pa.binary())], ["root", "rep", "n", "copies", "set"]).filter(right)
 
-    sets = arrow_map(texts.select("root", F.col("doc_id").alias("rep"), "n", "copies", "text"), cut, "root bigint, rep bigint, n bigint, copies bigint, set binary")
+    sets = arrow_map(texts.select("root", "rep", "n", "copies", "head", "text"), cut, "root bigint, rep bigint, n bigint, copies bigint, set binary")
+    if not unique:
+        sets = sets.dropDuplicates(["root", "rep"])
     dealt = _block_pairs(sets, F.ceil(F.col("n") / BLOCK), "rep", ["root"]).select("root", "block", "rep", "own", "copies", "set")
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -393,13 +428,36 @@ def _links(rows: list[tuple[int, int, int]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.int64()) for i in range(3)], ["rep", "mate", "links"])
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
-    """The documents without all but the smallest id of each class; all columns kept, repeated rows once."""
-    found = written(similar_documents(docs, id_col=id_col, **options), "classes")
-    extra = found.where(F.col("class_id").isNotNull() & (F.col("doc_id") != F.col("class_id"))).select(F.col("doc_id").alias("_extra")).distinct()
-    extra = written(extra, "extra-ids")
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """The documents without all but the smallest id of each class; all columns kept as they were.
+
+    Rows with a null id stay, all of them.  Null and empty texts, and those without a word, are one class.
+    Repeated rows stay once.  An id on different texts is several documents: each goes or stays by its own
+    class (ties of ids inside a class: the smallest head), so no text is lost unless one like it stays.
+    Columns may have any names; an empty table stays empty.  Where no id repeats, the ids that go are joined
+    out (sent to all where a count shows them few) and documents are not shuffled; the rows of
+    repeated ids alone are told apart by their texts.
+    """
+    found, repeated = classified(docs, id_col=id_col, text_col=text_col, **options)
+    found = written(found, "classes").where("doc_id is not null")
+    extra = written(found.where("doc_id <> class_id").select(F.col("doc_id").alias("id")).distinct(), "extra-ids")
     few = extra.count() <= SENT_IDS  # then the documents themselves need not be shuffled
-    kept = docs.join(F.broadcast(extra) if few else extra, docs[id_col] == F.col("_extra"), "left_anti")
-    if found.where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").isEmpty():
-        return kept  # no id repeats: rows need not be gathered by id once more
-    return kept.where(F.col(id_col).isNotNull()).dropDuplicates([id_col]).union(kept.where(F.col(id_col).isNull()))
+    whole = docs.select(F.struct(*(docs[f"`{c}`"] for c in docs.columns)).alias("row"), docs[f"`{id_col}`"].cast("bigint").alias("id"), text_of(text_col).alias("text"))
+    if repeated.isEmpty():
+        return whole.join(F.broadcast(extra) if few else extra, "id", "left_anti").select("row.*")
+    several = repeated.select(F.col("doc_id").alias("id"))
+    once = whole.join(several, "id", "left_anti").join(F.broadcast(extra) if few else extra, "id", "left_anti")
+    shingle = options.get("shingle", 5)
+
+    def name(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make = Shingler(shingle)
+        for batch in batches:
+            heads = pa.array([head_of(make(t)) for t in batch.column(2).to_pylist()], pa.string())
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), heads], ["row", "id", "head"])
+
+    rows = whole.join(several, "id", "left_semi").select("row", "id", "text")
+    schema = T.StructType([T.StructField("row", rows.schema["row"].dataType), T.StructField("id", T.LongType()), T.StructField("head", T.StringType())])
+    first = found.join(repeated, "doc_id", "left_semi").where("doc_id = class_id").groupBy("root").agg(F.min(F.struct("doc_id", "head")).alias("f"))
+    first = first.select(F.col("f.doc_id").alias("id"), F.col("f.head").alias("head"))
+    chosen = arrow_map(rows, name, schema).join(first, ["id", "head"], "left_semi").dropDuplicates(["id", "head"])
+    return once.select("row.*").union(chosen.select("row.*"))

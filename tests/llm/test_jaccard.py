@@ -3,6 +3,7 @@ import re
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from structcurve.llm import jaccard as J
 
@@ -106,3 +107,33 @@ def test_components(spark):
         root[max(x, y)] = min(x, y)
     got = {r.node: r.root for r in J.components(spark.createDataFrame(edges, "a bigint, b bigint")).collect()}
     assert all(got.get(v, v) == find(v) for v in root)
+
+
+def test_an_id_on_two_texts_is_two_documents(spark):
+    rng = random.Random(2)
+    text = lambda: " ".join("".join(rng.choices("abcdefghij", k=5)) for _ in range(60))
+    a, b = text(), text()
+    rows = [(1, a), (1, b), (2, a), (3, b), (4, a + " more"), (None, a), (None, a), (5, text()), (5, rows5 := text()), (5, rows5)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string").withColumns({c: F.lit(1) for c in ("_extra", "id", "row", "head", "a.b", "n")})
+    kept = J.keep_one(docs)
+    assert kept.columns == docs.columns
+    got = sorted((r.doc_id or 0, r.text) for r in kept.collect())
+    assert got == sorted([(1, a), (1, b), (0, a), (0, a), rows[7], (5, rows5)])
+    links = sorted((r.doc_id or 0, r.class_id or 0, r.n_links) for r in J.similar_documents(docs).collect())
+    assert links == [(0, 0, 0), (0, 0, 0), (1, 1, 1), (1, 1, 2), (2, 1, 2), (3, 1, 1), (4, 1, 2), (5, 5, 0), (5, 5, 1), (5, 5, 1)]
+
+
+def test_recall_at_the_default():
+    """Pairs of similarity 0.80 to 0.83 meet in some run and look alike on sketches."""
+    rng = np.random.default_rng(9)
+    runs, met, n = J.runs_for(0.995), 0, 600
+    least = int(np.ceil((0.8 - 0.12) * J.POSITIONS))
+    for i in range(n):
+        pool = J.mix(np.arange(i * 5000 + 1, i * 5000 + 261, dtype=np.uint64))
+        same = int(rng.integers(160, 166))
+        a, b = pool[: same + 20], np.concatenate([pool[:same], pool[200:220]])
+        x, y = J.signature(np.unique(a)), J.signature(np.unique(b))
+        keys = [set(J.first_keys(s, runs, 0.8).tolist()) for s in (x, y)]
+        alike = ((x & np.uint64(255)) == (y & np.uint64(255))).sum() >= least
+        met += bool(keys[0] & keys[1]) and bool(alike)
+    assert met / n >= 0.985, met / n
