@@ -30,7 +30,7 @@ def chats() -> str:
             out = f"replace({out}, '{s}', '{_ESC}{c}')"
         return out
 
-    held = " OR ".join(f"contains({c}, '{s}')" for c in ("role", "text") for s in (_ESC, *chat.CONTROL))
+    held = " OR ".join(f"contains({c}, '{s}')" for c in ("role", "text") for s in (_ESC, *chat.CONTROL)) + " OR contains(role, ']')"
     other = f"replace({esc('role')}, ']', '{_ESC}c')"
     return f"""
 WITH r AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations

@@ -1,7 +1,9 @@
 import hashlib
+import re
 
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from structcurve.llm import chat, html
 
@@ -88,6 +90,24 @@ def test_hostile_texts_read_back(spark):
     assert plain.formatted == "#chat plain\n<s>[INST] hi [/INST]</s>\n<s>[ANS] yo [/ANS]</s>\n"
 
 
+def test_the_loss_mask_is_spans_of_the_output(spark):
+    talks = [[("user", t), ("assistant", u), ("tool]x", t), ("assistant", t + "é\U0001f600")] for t in HOSTILE for u in HOSTILE[:4]] + [[("user", "no answer")]]
+    signs = {chat.ESCAPE + "0": chat.ESCAPE} | {chat.ESCAPE + c: s for s, c in zip(chat.CONTROL, chat.CODES)}
+    unescape = lambda t: re.sub(f"{chat.ESCAPE}.", lambda m: signs[m[0]], t)
+    made = chats(spark, talks).cache()
+    digests = {r.conv_id: r for r in chat.chat_digests(made).collect()}
+    for r in made.collect():
+        shown = [r.formatted[m.start : m.start + m.length] for m in r.loss_mask]
+        if r.formatted.startswith(chat.HEAD_ESCAPED):
+            shown = [unescape(t) for t in shown]
+        want = [t for role, t in talks[r.conv_id] if role == "assistant"]
+        assert shown == want
+        assert digests[r.conv_id].loss_sha256 == hashlib.sha256("".join(want).encode()).hexdigest()
+    # the digest reads the output under the mask: move the mask and it reads something else
+    moved = made.withColumn("turns", F.transform("turns", lambda t: t.withField("text_start", t["text_start"] - 1)))
+    assert all(r.loss_sha256 != digests[r.conv_id].loss_sha256 for r in chat.chat_digests(moved).collect() if r.loss_chars)
+
+
 def test_digests(spark):
     talk = [("user", "é</s>"), ("assistant", "one"), ("user", "q"), ("assistant", "two␛")]
     r = chat.chat_digests(chats(spark, [talk])).first()
