@@ -1,7 +1,7 @@
 """Mixing sources to target weights, in DataFrame operations only.
 
 Each source's words are packed into blocks of fixed length; each output shard draws how many of its
-slots go to each source; a source's slots run through pseudorandom permutations of its block indexes;
+slots go to each source from the multinomial law of the targets; a source's slots run through pseudorandom permutations of its block indexes;
 and slots and blocks meet in a join by index.
 """
 
@@ -18,6 +18,8 @@ from .common import text_of, written
 WORDS = r"[^\x20\x09-\x0D]+"
 _M = 1 << 31
 ROUNDS = 12
+#: Cells of the unit interval by which a draw finds its source.
+CELLS = 4096
 
 
 def dice(x: Column, salt: Column | int = 0) -> Column:
@@ -90,27 +92,43 @@ def packed(sizes: DataFrame, rows: int) -> DataFrame:
 
 
 def drawn_slots(targets: DataFrame, block_words: int, slots: int, shard_slots: int) -> DataFrame:
-    """``rank, shard, epoch, block``: one row per slot of the mix.
+    """``rank, shard, n, epoch, block``: one row per slot of the mix.
 
-    A shard of m slots draws its sources' counts from the multinomial law of the targets by one random
-    offset and m even steps along the cumulated shares (a systematic draw): expected counts are the
-    multinomial's, and a count differs from them by less than one block.  A source's n-th slot is epoch
-    n div blocks; slots beyond the cap's epochs stay empty.
+    Each slot of a shard draws its source with the probability of the source's share, so a shard's counts
+    are multinomial.  Over all shards a source's count then misses its quota, the target in blocks, by
+    a random amount, large for small sources.  The correction: of a source drawn too often, evenly spread
+    slots are given up, and these go in order to the sources drawn too rarely.  Totals are then the quotas, which
+    are the targets rounded to whole blocks.  A source's n-th slot is epoch n div blocks.
     """
+    spark = targets.sparkSession
     blocks = F.ceil(F.col("source_size") / F.lit(block_words))
     upto = Window.orderBy("rank")
     t = targets.where("source_size > 0").withColumn("blocks", blocks).withColumn("_want", F.col("target") * F.col("blocks") / F.col("source_size"))
-    t = t.withColumn("_hi", F.sum("_want").over(upto) / F.sum("_want").over(Window.partitionBy())).withColumn("_lo", F.coalesce(F.lag("_hi").over(upto), F.lit(0.0)))
+    t = t.withColumn("_sum", F.sum("_want").over(upto)).withColumn("_end", F.round("_sum").cast("bigint"))
+    t = t.withColumn("quota", F.col("_end") - F.coalesce(F.lag("_end").over(upto), F.lit(0)))
+    t = t.withColumn("_hi", F.col("_sum") / F.sum("_want").over(Window.partitionBy())).withColumn("_lo", F.coalesce(F.lag("_hi").over(upto), F.lit(0.0)))
     t = t.withColumn("_hi", F.when(F.lead("rank").over(upto).isNull(), F.lit(1.0)).otherwise(F.col("_hi")))
-    shards = max(1, -(-slots // shard_slots))
-    spark = targets.sparkSession
-    s = spark.range(shards).select(F.col("id").alias("shard"), F.least(F.lit(shard_slots), F.lit(slots) - F.col("id") * F.lit(shard_slots)).alias("_m"), ((dice(F.col("id"), 3) + F.lit(0.5)) / F.lit(float(_M))).alias("_u"))
-    # one row per source beside one per shard: both are small, their product is the table of counts itself
-    counts = s.withColumn("_one", F.lit(1)).join(t.withColumn("_one", F.lit(1)), "_one").select("rank", "shard", "blocks", (F.ceil(F.col("_hi") * F.col("_m") - F.col("_u")) - F.ceil(F.col("_lo") * F.col("_m") - F.col("_u"))).cast("bigint").alias("count"))
+    cells = t.select("rank", "_lo", "_hi", F.explode(F.sequence(F.floor(F.col("_lo") * CELLS), F.least(F.floor(F.col("_hi") * CELLS), F.lit(CELLS - 1)))).alias("_cell"))
+    each = F.lit(shard_slots).cast("bigint")
+    s = spark.range(slots).select(F.floor(F.col("id") / each).alias("shard"), F.pmod("id", each).alias("_x"))
+    s = s.withColumn("_u", (dice(dice(F.col("_x"), dice(F.col("shard"), 3)), 5) + F.lit(0.5)) / F.lit(float(_M))).withColumn("_cell", F.floor(F.col("_u") * CELLS))
+    # a cell of the unit interval meets the few sources whose shares reach into it
+    counts = written(s.join(cells, "_cell").where("_u >= _lo and _u < _hi").groupBy("rank", "shard").agg(F.count("*").alias("count")), "mix-counts")
+    drawn = counts.groupBy("rank").agg(F.sum("count").alias("_drawn"))
+    src = t.select("rank", "blocks", "quota").join(drawn, "rank", "left").withColumn("_drawn", F.coalesce("_drawn", F.lit(0)))
+    src = src.withColumn("_over", F.greatest(F.col("_drawn") - F.col("quota"), F.lit(0))).withColumn("_under", F.greatest(F.col("quota") - F.col("_drawn"), F.lit(0)))
+    src = written(src.withColumns({c: F.sum(n).over(upto) - F.col(n) for c, n in (("_given", "_over"), ("_taken", "_under"))}), "mix-draw")
     ends = F.sum("count").over(Window.partitionBy("rank").orderBy("shard"))
     # the table of counts is small and would be one task's; its slots are many
-    ranked = counts.withColumn("_first", ends - F.col("count")).where("count > 0").repartition(min(10_000, max(8, slots // 50_000)), "rank", "shard")
-    slot = ranked.select("rank", "shard", "blocks", F.explode(F.sequence(F.col("_first"), F.col("_first") + F.col("count") - 1)).alias("n"))
+    ranked = counts.withColumn("_first", ends - F.col("count")).repartition(min(10_000, max(8, slots // 50_000)), "rank", "shard").join(src, "rank")
+    slot = ranked.withColumn("_n", F.explode(F.sequence(F.col("_first"), F.col("_first") + F.col("count") - 1)))
+    given = lambda n: F.floor((n + F.lit(0.5)) * (F.col("_over") / F.col("_drawn")))  # noqa: E731  (how many of the first n are given up)
+    slot = slot.withColumn("_before", given(F.col("_n"))).withColumn("_free", given(F.col("_n") + 1) > F.col("_before"))
+    kept = slot.where("not _free").select("rank", "shard", "blocks", (F.col("_n") - F.col("_before")).alias("n"))
+    free = slot.where("_free").select("shard", (F.col("_given") + F.col("_before")).alias("_j"))
+    short = src.where("_under > 0").select("rank", "blocks", "_drawn", "_taken", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("_under") - 1)).alias("_k"))
+    short = short.select("rank", "blocks", (F.col("_taken") + F.col("_k")).alias("_j"), (F.col("_drawn") + F.col("_k")).alias("n"))
+    slot = kept.union(free.join(short, "_j").select("rank", "shard", "blocks", "n"))
     slot = slot.withColumn("epoch", F.floor(F.col("n") / F.col("blocks")))
     return slot.select("rank", "shard", "n", "epoch", permuted(F.pmod("n", F.col("blocks")), F.col("blocks"), F.col("rank") * 16 + F.col("epoch")).alias("block"))
 

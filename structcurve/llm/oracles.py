@@ -107,13 +107,21 @@ open AS (SELECT (SELECT level FROM level WHERE level < ratio ORDER BY ratio, ran
 targets AS (SELECT source, source_size, rank, CASE WHEN open IS NULL THEN cap ELSE least(cap, open * weight) END AS target FROM level, open),
 want AS (SELECT *, CAST(ceil(source_size / {block}e0) AS BIGINT) AS blocks, target * ceil(source_size / {block}e0) / source_size AS want FROM targets WHERE source_size > 0),
 slots AS (SELECT CAST(round_even(sum(want), 0) AS BIGINT) AS slots, greatest(1024, CAST(floor(sqrt(round_even(sum(want), 0))) AS BIGINT)) AS each FROM want),
-edges AS (SELECT rank, blocks, sum(want) OVER (ORDER BY rank) / sum(want) OVER () AS hi, rank = max(rank) OVER () AS final FROM want),
-spans AS (SELECT rank, blocks, CASE WHEN final THEN 1e0 ELSE hi END AS hi, coalesce(lag(hi) OVER (ORDER BY rank), 0e0) AS lo FROM edges),
-shards AS (SELECT id AS shard, least(each, slots - id * each) AS m, ({dice('id', 3)} + 0.5e0) / {m}e0 AS u FROM (SELECT unnest(range(greatest(1, CAST(ceil(slots / each) AS BIGINT)))) AS id, * FROM slots)),
-counts AS (SELECT rank, shard, blocks, CAST(ceil(hi * m - u) - ceil(lo * m - u) AS BIGINT) AS c FROM spans, shards),
-firsts AS (SELECT *, CAST(sum(c) OVER (PARTITION BY rank ORDER BY shard) - c AS BIGINT) AS first FROM counts),
-numbered AS (SELECT rank, blocks, unnest(range(first, first + c)) AS n FROM firsts WHERE c > 0),
-drawn AS (SELECT rank, blocks, n % blocks AS x, rank * 16 + n // blocks AS salt FROM numbered WHERE n // blocks < 2),
+edges AS (SELECT rank, blocks, CAST(round(sum(want) OVER (ORDER BY rank)) AS BIGINT) AS till, sum(want) OVER (ORDER BY rank) / sum(want) OVER () AS hi, rank = max(rank) OVER () AS final FROM want),
+spans AS (SELECT rank, blocks, till - coalesce(lag(till) OVER (ORDER BY rank), 0) AS quota, CASE WHEN final THEN 1e0 ELSE hi END AS hi, coalesce(lag(hi) OVER (ORDER BY rank), 0e0) AS lo FROM edges),
+throws AS (SELECT id // each AS shard, id % each AS x FROM (SELECT unnest(range(slots)) AS id, * FROM slots)),
+{chain('throws', ['shard', 'x'], [{'u': dice('shard', 3)}, {'u': dice('x', 'u')}, {'u': f"({dice('u', 5)} + 0.5e0) / {m}e0"}], 'thrown')},
+counts AS (SELECT rank, shard, count(*) AS c FROM thrown JOIN spans ON u >= lo AND u < hi GROUP BY rank, shard),
+totals AS (SELECT rank, blocks, quota, coalesce((SELECT sum(c) FROM counts k WHERE k.rank = spans.rank), 0) AS made FROM spans),
+misses AS (SELECT *, greatest(made - quota, 0) AS over, greatest(quota - made, 0) AS under FROM totals),
+draw AS (SELECT *, sum(over) OVER (ORDER BY rank) - over AS given, sum(under) OVER (ORDER BY rank) - under AS got FROM misses),
+firsts AS (SELECT *, CAST(sum(c) OVER (PARTITION BY rank ORDER BY shard) - c AS BIGINT) AS first FROM counts JOIN draw USING (rank)),
+numbered AS (SELECT *, unnest(range(first, first + c)) AS n FROM firsts),
+spread AS (SELECT *, floor((n + 0.5e0) * (over / made)) AS before, floor((n + 1.5e0) * (over / made)) AS after FROM numbered),
+lacking AS (SELECT rank, blocks, got + k AS j, made + k AS n FROM (SELECT *, unnest(range(CAST(under AS BIGINT))) AS k FROM draw)),
+chosen AS (SELECT rank, blocks, CAST(n - before AS BIGINT) AS n FROM spread WHERE after = before
+  UNION ALL SELECT l.rank, l.blocks, CAST(l.n AS BIGINT) FROM spread s JOIN lacking l ON l.j = s.given + s.before WHERE s.after > s.before),
+drawn AS (SELECT rank, blocks, n % blocks AS x, rank * 16 + n // blocks AS salt FROM chosen WHERE n // blocks < 2),
 {chain('drawn', ['rank', 'blocks', 'x', 'salt'], rounds, 'turned')},
 pieces AS (SELECT rank, doc_id, size, start, unnest(range(start // {block}, (start + size - 1) // {block} + 1)) AS block FROM placed p JOIN targets t ON p.source IS NOT DISTINCT FROM t.source WHERE size > 0),
 taken AS (SELECT q.rank, q.doc_id, q.start, CAST(sum(least((q.block + 1) * {block} - q.start, q.size) - greatest(q.block * {block} - q.start, 0)) AS BIGINT) AS taken

@@ -54,6 +54,27 @@ def test_mix(spark):
     assert per_slot.agg(F.max("w")).first()[0] == 32
 
 
+def test_draws_are_multinomial_and_totals_are_the_quotas(spark):
+    """Per shard the counts vary as a multinomial's; over all shards each source has its target to a block."""
+    shares = {f"s{i:02d}": 20_000 * (1 + i % 3) for i in range(12)} | {"tiny": 900}
+    sizes = spark.createDataFrame(list(shares.items()), "source string, source_size bigint")
+    targets = M.source_targets(sizes).cache()
+    want = {r["rank"]: r.target * -(-r.source_size // 10) / r.source_size for r in targets.collect()}
+    slots = round(sum(want.values()))
+    got = M.drawn_slots(targets, 10, slots, 256).groupBy("rank", "shard").agg(F.count("*").alias("n")).collect()
+    total: dict = {}
+    for r in got:
+        total[r["rank"]] = total.get(r["rank"], 0) + r.n
+    assert all(abs(total[k] - w) <= 1 for k, w in want.items()) and sum(total.values()) == slots
+    shards = slots // 256
+    by = {(r["rank"], r.shard): r.n for r in got}
+    chi = []
+    for k, w in want.items():
+        p = w / slots
+        chi += [(by.get((k, s), 0) - 256 * p) ** 2 / (256 * p * (1 - p)) for s in range(shards)]
+    assert shards > 100 and 0.85 < sum(chi) / len(chi) < 1.15, sum(chi) / len(chi)
+
+
 def test_words(spark):
     text = "a  b\tc\x0bd\x0ce\r\nf g 　 "
     assert M.measured(spark.createDataFrame([(1, text, "s")], "doc_id bigint, text string, source string")).first()["size"] == 7
