@@ -1,4 +1,5 @@
 import hashlib
+import random
 import re
 
 from hypothesis import given, settings
@@ -24,6 +25,41 @@ def test_shared_lines_are_a_longest_common_subsequence(a, b):
     assert len(got) == lcs_length(a, b) and all(any(x == a[i] for x in kept) for i in got)
 
 
+@settings(max_examples=200, deadline=None)
+@given(st.lists(st.sampled_from("abc"), max_size=40), st.lists(st.sampled_from("abc"), max_size=40), st.sampled_from([1, 60, 1 << 20]))
+def test_rows_of_bits_find_one_too(a, b, most):
+    got = sorted(html._by_bits(a, b, most))
+    kept = iter(b)
+    assert len(got) == lcs_length(a, b) and all(any(x == a[i] for x in kept) for i in got)
+
+
+def test_repeated_lines_take_little_time():
+    import time
+
+    rng = random.Random(0)
+    a, b = (["x"] * 30_000 for _ in range(2))
+    c, d = ([rng.choice("abcd") for _ in range(20_000)] for _ in range(2))
+    start = time.thread_time()
+    assert len(html.shared_lines(a, b + ["y"])) == 30_000
+    assert len(html.shared_lines(c, d)) > 12_000
+    assert time.thread_time() - start < 20
+
+
+def test_classes_that_only_sound_like_furniture_stay():
+    page = '<article><header><h1>Head</h1></header><section id="related-work"><p>body</p></section><div class="search-engine">engine</div><p class="notice-period">period</p><div class="comments"><p>reader</p></div><div class="ad-slot">buy</div><p>tail</p></article><div class="cookie-law">eat</div>'
+    assert text_of(page) == "Head\nbody\nengine\nperiod\ntail"
+    assert text_of(page.replace("article", "main")) == "Head\nbody\nengine\nperiod\ntail"
+    # what sounds like furniture goes where neighbours have it too
+    other = '<article><h1>Other</h1><p>else</p><p class="notice-period">period</p></article>'
+    assert text_of(page, other) == "Head\nbody\nengine\ntail"
+    assert text_of('<div class="search-engine">engine</div><p>more</p>') == "engine\nmore"
+
+
+def test_pages_of_equal_open_text_survive():
+    page = "<body><div>Site</div><p>same text</p><p>and more of it</p></body>"
+    assert text_of(page, page) == "Site\nsame text\nand more of it"
+
+
 def text_of(page, *others):
     return html.main_text(html.page_lines(page), [html.page_lines(o) for o in others])[0]
 
@@ -65,7 +101,7 @@ def test_pages_of_a_large_host_meet_their_url_neighbours(spark):
     page = lambda i: f"<div>Section {i // 4}</div><p>text {i}</p>"
     rows = [(i * 7919 % 1000, f"http://{'hot' if i < 120 else 'other'}.example/s{i // 4:03d}/{i:03d}", page(i)) for i in range(160)] + [(None, None, page(400 + i // 2)) for i in range(8)]
     pages = spark.createDataFrame(rows, "page_id bigint, url string, html string")
-    got = {c: sorted((r.page_id or -1, r.url or "", r.text, r.n_shared) for r in html.extract_text(pages, least_chunk=c).collect()) for c in (1, 3, 10, 1000)}
+    got = {c: sorted((-1 if r.page_id is None else r.page_id, r.url or "", r.text, r.n_shared) for r in html.extract_text(pages, least_chunk=c).collect()) for c in (1, 3, 10, 1000)}
     assert all(got[c] == got[1000] for c in got) and len(got[1]) == len(rows)
     assert {(i, t, n) for i, u, t, n in got[3] if u} == {(r[0], f"text {i}", 1) for i, r in enumerate(rows[:160])}
 
