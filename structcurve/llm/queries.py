@@ -26,7 +26,7 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_webp_media(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return webp.media_column(table(spark, sf_dir, "documents"), keep=False)
+    return webp.media_digests(webp.media_column(table(spark, sf_dir, "documents")))
 
 
 def op5_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,16 +1,15 @@
 """Lossless WebP in numpy: an encoder for byte payloads and a full decoder to pixel arrays.
 
 The decoder handles prefix codes (simple and normal), several code groups, back-references, the
-colour cache and the predictor, cross-colour, subtract-green and palette transforms.  Streams of
-literals only, which the encoder writes by default, take a vectorised path: code lengths at every
-bit position are looked up at once and the pixels' positions are found by following pointers.
+colour cache and the predictor, cross-colour, subtract-green and palette transforms.  Streams with one
+code group and no cache take a vectorised path: code lengths at every bit position are looked up at
+once, the literals' positions are found by following pointers, and copies are made between.
 """
 
 from __future__ import annotations
 
 import functools
-import hashlib
-import heapq
+import itertools
 import struct
 from collections.abc import Iterator
 
@@ -42,25 +41,41 @@ def code_lengths(counts: np.ndarray, limit: int) -> np.ndarray:
         out[used] = 1
         return out
     weight = counts[used].astype(np.int64)
+    n = len(used)
     while True:
-        heap = [(int(w), i) for i, w in enumerate(weight)]
-        heapq.heapify(heap)
-        parent, fresh = [0] * (2 * len(used)), len(used)
-        while len(heap) > 1:
-            a = heapq.heappop(heap)
-            b = heap[0]
-            parent[a[1]] = parent[b[1]] = fresh
-            heapq.heapreplace(heap, (a[0] + b[0], fresh))
-            fresh += 1
-        deep = [0] * fresh
-        for i in range(fresh - 2, -1, -1):
-            deep[i] = deep[parent[i]] + 1
-        if max(deep[: len(used)]) <= limit:
-            out[used] = deep[: len(used)]
+        order = np.argsort(weight, kind="stable")
+        leaves, made, parent = [*weight[order].tolist(), 1 << 62], [], [0] * (2 * n - 1)
+        i = j = 0  # the lightest two are at the heads of the leaves and of the nodes made so far
+        for fresh in range(n, 2 * n - 1):
+            total = 0
+            for _ in (0, 1):
+                if j < len(made) and made[j] < leaves[i]:
+                    parent[n + j] = fresh
+                    total += made[j]
+                    j += 1
+                else:
+                    parent[i] = fresh
+                    total += leaves[i]
+                    i += 1
+            made.append(total)
+        deep = [0] * (2 * n - 1)
+        for k in range(2 * n - 3, -1, -1):
+            deep[k] = deep[parent[k]] + 1
+        if max(deep[:n]) <= limit:
+            out[used[order]] = deep[:n]
             return out
         weight = (weight >> 1) | 1
 
 
+@functools.lru_cache(maxsize=16)
+def _reversed(width: int) -> np.ndarray:
+    """Each number of ``width`` bits with its bits in the other order."""
+    out = np.zeros(1, np.int64)
+    for k in range(width):
+        out = np.concatenate([out, out | 1 << (width - 1 - k)])
+    return out
+
+
 def canonical(lengths: np.ndarray) -> np.ndarray:
     """Code of each symbol, its bits reversed for a stream that is filled from the low end."""
     return _canonical(lengths.tobytes())
@@ -70,18 +85,22 @@ def canonical(lengths: np.ndarray) -> np.ndarray:
 def _canonical(key: bytes) -> np.ndarray:
     lengths = np.frombuffer(key, np.int64)
     codes = np.zeros(len(lengths), np.int64)
-    code = 0
-    order = np.lexsort((np.arange(len(lengths)), lengths))
-    previous = 0
-    for s in order[np.searchsorted(lengths[order], 1) :].tolist():
-        n = int(lengths[s])
-        code <<= n - previous
-        codes[s] = int(format(code, f"0{n}b")[::-1], 2)
-        code += 1
-        previous = n
+    order, size, width = _ordered(lengths)
+    if width:
+        # codes of full width count up by the room that each symbol takes
+        room = np.left_shift(1, width - size)
+        codes[order] = _reversed(width)[np.cumsum(room) - room]
     return codes
 
 
+def _ordered(lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
+    """The used symbols by length, then number, with their lengths, and the largest length."""
+    order = np.argsort(lengths, kind="stable")
+    order = order[np.searchsorted(lengths[order], 1) :]
+    size = lengths[order]
+    return order, size, int(size[-1]) if len(size) else 0
+
+
 class Prefix:
     """A decoding table: entry ``symbol << 4 | bits`` for each value of the next ``width`` bits."""
 
@@ -90,13 +109,11 @@ class Prefix:
         if len(used) == 1:
             self.width, self.table = 0, np.array([int(used[0]) << 4], np.int64)
         else:
-            if not len(used) or sum(2.0 ** -int(n) for n in lengths[used]) != 1.0:
+            order, size, self.width = _ordered(lengths)
+            room = np.left_shift(1, self.width - size)
+            if not len(used) or int(room.sum()) != 1 << self.width:
                 raise ValueError("prefix code is not complete")
-            self.width = int(lengths.max())
-            self.table = np.zeros(1 << self.width, np.int64)
-            codes = canonical(lengths)
-            for s in used.tolist():
-                self.table[codes[s] :: 1 << int(lengths[s])] = s << 4 | int(lengths[s])
+            self.table = np.repeat(order << 4 | size, room)[_reversed(self.width)]
         self.plain = self.table.tolist() if self.width <= 8 else None
 
     def read(self, bits: BitReader) -> int:
@@ -113,6 +130,18 @@ class BitReader:
         byte = self.at >> 3
         return int.from_bytes(self.data[byte : byte + 8], "little") >> (self.at & 7) & ((1 << n) - 1)
 
+    def slice(self, lo: int, hi: int) -> tuple[int, int]:
+        """The bits from lo to hi as a number, and how many they are."""
+        value = int.from_bytes(self.data[lo >> 3 : (hi + 7) >> 3], "little") >> (lo & 7)
+        return value & ((1 << (hi - lo)) - 1), hi - lo
+
+    def next_is(self, before: tuple[int, int]) -> bool:
+        """Skip the next bits if they are these."""
+        if self.at + before[1] > self.end or self.slice(self.at, self.at + before[1]) != before:
+            return False
+        self.at += before[1]
+        return True
+
     def read(self, n: int) -> int:
         if self.at + n > self.end:
             raise ValueError("stream ends early")
@@ -151,12 +180,9 @@ class BitWriter:
 
 def _run_lengths(lengths: list[int]) -> list[tuple[int, int, int]]:
     """Code lengths as (symbol, extra value, extra bits), runs folded."""
-    out, i = [], 0
-    while i < len(lengths):
-        v, j = lengths[i], i
-        while j < len(lengths) and lengths[j] == v:
-            j += 1
-        run = j - i
+    out = []
+    for v, same in itertools.groupby(lengths):
+        run = len(list(same))
         if v == 0:
             while run >= 3:
                 n = min(run, 138)
@@ -170,7 +196,6 @@ def _run_lengths(lengths: list[int]) -> list[tuple[int, int, int]]:
                 out.append((16, n - 3, 2))
                 run -= n
         out += [(v, 0, 0)] * run
-        i = j
     return out
 
 
@@ -265,13 +290,82 @@ def _tokens(argb: list[int], width: int, cache_bits: int) -> list[tuple]:
     return out
 
 
-def _write_image(w: BitWriter, argb: np.ndarray, width: int, main: bool, matches: bool = False, cache_bits: int = 0) -> None:
+@functools.lru_cache(maxsize=4)
+def _near_codes(width: int) -> dict[int, int]:
+    return {x + y * width: i + 1 for i, (x, y) in reversed(list(enumerate(NEAR))) if x + y * width > 0}
+
+
+def repeats(pixels: np.ndarray, least: int = 24, probe: int = 8) -> list[tuple[int, int, int]]:
+    """(place, length, distance) of stretches of at least ``least`` pixels that occur before, without overlap.
+
+    Every stretch of ``probe`` pixels is hashed and paired with its last occurrence before; where neighbours
+    have the same distance they are one longer match, which is then compared pixel by pixel.
+    """
+    n = len(pixels) - probe + 1
+    if n < least:
+        return []
+    value = pixels.astype(np.uint64)
+    key = np.zeros(n, np.uint64)
+    for k in range(probe):
+        key = key * np.uint64(0x9E3779B97F4A7C15) + value[k : k + n]
+    key ^= key >> np.uint64(29)
+    order = np.argsort(key, kind="stable")
+    same = key[order[1:]] == key[order[:-1]]
+    if not same.any():
+        return []
+    distance = np.zeros(n + 1, np.int64)
+    distance[order[1:][same]] = (order[1:] - order[:-1])[same]
+    edges = np.nonzero(np.diff(distance, prepend=0))[0]
+    out, end = [], 0
+    for lo, hi in zip(edges.tolist(), edges[1:].tolist()):
+        d, size = int(distance[lo]), hi - lo + probe - 1
+        start = max(lo, end)
+        size -= start - lo
+        if d and size >= least and np.array_equal(pixels[start : start + size], pixels[start - d : start - d + size]):
+            end = start + size
+            out += [(at, min(4096, end - at), d) for at in range(start, end, 4096)]
+    return out
+
+
+def _write_copies(w: BitWriter, argb: np.ndarray, width: int, copies: list[tuple[int, int, int]]) -> None:
+    """The codes and pixels of an opaque image some of whose stretches are copies of earlier ones."""
+    literal = np.ones(len(argb), bool)
+    near = _near_codes(width)
+    spans = []
+    for at, n, d in copies:
+        literal[at : at + n] = False
+        spans.append((at, *prefix_value(n), *prefix_value(near.get(d, d + 120))))
+    at, length, extra, more, far, far_extra, far_more = np.array(spans, np.int64).T
+    place = np.nonzero(literal)[0]
+    red, green, blue = (argb[place, c] for c in (1, 2, 3))
+    both = code_lengths(np.bincount(red, minlength=256) + np.bincount(blue, minlength=256), 15)
+    clear = np.zeros(256, np.int64)
+    clear[argb[0, 0]] = 1
+    g_code, g_size = _write_code(w, code_lengths(np.bincount(green, minlength=280) + np.bincount(256 + length, minlength=280), 15))
+    code, size = _write_code(w, both)
+    _write_code(w, both)
+    _write_code(w, clear)
+    d_code, d_size = _write_code(w, code_lengths(np.bincount(far, minlength=40), 15))
+    each = np.zeros(len(argb), np.int64)
+    each[place], each[at] = 3, 4
+    start = np.cumsum(each) - each
+    values, sizes = np.zeros(int(each.sum()), np.int64), np.zeros(int(each.sum()), np.int64)
+    for k, (v, n) in enumerate(((g_code[green], g_size[green]), (code[red], size[red]), (code[blue], size[blue]))):
+        values[start[place] + k], sizes[start[place] + k] = v, n
+    for k, (v, n) in enumerate(((g_code[256 + length], g_size[256 + length]), (extra, more), (d_code[far], d_size[far]), (far_extra, far_more))):
+        values[start[at] + k], sizes[start[at] + k] = v, n
+    w.many(values, sizes)
+
+
+def _write_image(w: BitWriter, argb: np.ndarray, width: int, main: bool, matches: bool = False, cache_bits: int = 0, copies: list[tuple[int, int, int]] | None = None) -> None:
     """An entropy-coded image with one code group; argb: rows of (a, r, g, b)."""
     w.put(1 if cache_bits else 0, 1)
     if cache_bits:
         w.put(cache_bits, 4)
     if main:
         w.put(0, 1)
+    if copies:
+        return _write_copies(w, argb, width, copies)
     greens = 280 + ((1 << cache_bits) if cache_bits else 0)
     if not matches and not cache_bits:
         # red, green and blue share one code: for payloads, the three hold like samples
@@ -320,16 +414,23 @@ def _blocks(side: int, bits: int) -> int:
     return (side + (1 << bits) - 1) >> bits
 
 
-def encode(rgb: np.ndarray, *, alpha: np.ndarray | None = None, matches: bool = False, cache_bits: int = 0, subtract_green: bool = False, predictor: int | None = None, cross_colour: tuple[int, int, int] | None = None, palette: bool = False) -> bytes:
+def encode(rgb: np.ndarray, *, alpha: np.ndarray | None = None, matches: bool = False, cache_bits: int = 0, subtract_green: bool = False, predictor: int | None = None, cross_colour: tuple[int, int, int] | None = None, palette: bool = False, best: bool = False) -> bytes:
     """A lossless WebP file of an image of shape (height, width, 3) of bytes.
 
-    The default writes literals only; the other options turn on one feature of the format each.
+    The default writes literals only; the other options turn on one feature of the format each.  ``best``
+    looks at the image: a palette where it has at most 16 colours, the predictor "pixel above" where half of
+    the pixels equal it, and back-references where stretches that occurred before are an eighth of the pixels.
     """
     height, width = rgb.shape[:2]
     if not (0 < width <= MAX_SIDE and 0 < height <= MAX_SIDE):
         raise ValueError("image side out of range")
     a = np.full((height, width), 255, np.uint8) if alpha is None else alpha
     argb = np.dstack([a, rgb]).astype(np.int64)
+    if best:
+        packed = argb[..., 1] << 16 | argb[..., 2] << 8 | argb[..., 3]
+        palette = len(np.unique(rgb[0])) <= 48 and len(np.unique(packed)) <= 16
+        if not palette and height > 2 and 2 * int((packed[1:] == packed[:-1]).sum()) > height * width:
+            predictor = 2
     w = BitWriter()
     w.put(0x2F, 8)
     w.put(width - 1, 14)
@@ -372,15 +473,25 @@ def encode(rgb: np.ndarray, *, alpha: np.ndarray | None = None, matches: bool =
         w.put(3, 3)
         n = _blocks(width, 5) * _blocks(height, 5)
         _write_image(w, np.tile(np.array([255, 0, predictor, 0]), (n, 1)), _blocks(width, 5), False)
-        rows = argb.tolist()
-        out = [[None] * width for _ in range(height)]
-        for y in range(height):
-            for x in range(width):
-                p = _predicted(rows, x, y, width, predictor)
-                out[y][x] = [(v - q) & 255 for v, q in zip(rows[y][x], p)]
-        argb = np.array(out)
+        if predictor == 2:
+            before = np.zeros_like(argb)
+            before[1:] = argb[:-1]
+            before[0, 1:], before[0, 0] = argb[0, :-1], (255, 0, 0, 0)
+            argb = (argb - before) & 255
+        else:
+            rows = argb.tolist()
+            out = [[None] * width for _ in range(height)]
+            for y in range(height):
+                for x in range(width):
+                    p = _predicted(rows, x, y, width, predictor)
+                    out[y][x] = [(v - q) & 255 for v, q in zip(rows[y][x], p)]
+            argb = np.array(out)
     w.put(0, 1)
-    _write_image(w, argb.reshape(-1, 4), width, True, matches, cache_bits)
+    flat, copies = argb.reshape(-1, 4), None
+    if best and (flat[:, 0] == flat[0, 0]).all():
+        copies = repeats(flat[:, 1] << 16 | flat[:, 2] << 8 | flat[:, 3])
+        copies = copies if 8 * sum(c[1] for c in copies) > len(flat) else None
+    _write_image(w, flat, width, True, matches, cache_bits, copies)
     body = w.bytes()
     chunk = b"VP8L" + struct.pack("<I", len(body)) + body + b"\0" * (len(body) & 1)
     return b"RIFF" + struct.pack("<I", len(chunk) + 4) + b"WEBP" + chunk
@@ -421,22 +532,35 @@ def _read_code(bits: BitReader, size: int) -> np.ndarray:
 
 
 def _read_group(bits: BitReader, cache_bits: int) -> list[np.ndarray]:
-    greens = 280 + ((1 << cache_bits) if cache_bits else 0)
-    return [_read_code(bits, n) for n in (greens, 256, 256, 256, 40)]
+    out, before = [], (0, 0)
+    for n in (280 + ((1 << cache_bits) if cache_bits else 0), 256, 256, 256, 40):
+        start = bits.at
+        if out and len(out[-1]) == n and bits.next_is(before):
+            out.append(out[-1])  # written with the very bits of the code before
+            continue
+        out.append(_read_code(bits, n))
+        before = bits.slice(start, bits.at)
+    return out
 
 
-def _literals(bits: BitReader, lengths: list[np.ndarray], total: int, window: int = 1 << 16) -> np.ndarray:
-    """Pixels of a stream of literals: (a, r, g, b) rows, looked up for all bit positions of a window at once."""
+def _stretches(bits: BitReader, lengths: list[np.ndarray], total: int, width: int, window: int = 1 << 16) -> np.ndarray:
+    """Pixels of a stream of literals and copies: (a, r, g, b) rows.
+
+    Literals are looked up for all bit positions of a window at once, and their places found by following
+    pointers; a copy ends such a chain, is made, and the next chain begins behind it.
+    """
     memo: dict[bytes, Prefix] = {}
     codes = []
-    for n in (lengths[0][:256], *lengths[1:4]):
-        key = n.tobytes()
+    for n in lengths[:4]:
+        key = n[:256].tobytes() if not n[256:].any() else n.tobytes()
         if key not in memo:
-            memo[key] = Prefix(n)
+            memo[key] = Prefix(n if n[256:].any() else n[:256])
         codes.append(memo[key])
+    copies = bool(lengths[0][256:].any())
+    far = Prefix(lengths[4]) if copies and lengths[4].any() else None
     data = np.frombuffer(bits.data, np.uint8)
     out, done, start = np.empty((total, 4), np.uint8), 0, bits.at
-    if not any(c.width for c in codes):
+    if not any(c.width for c in codes) and not copies:
         out[:] = [codes[3].table[0] >> 4, codes[1].table[0] >> 4, codes[0].table[0] >> 4, codes[2].table[0] >> 4]
         return out
     while done < total:
@@ -456,25 +580,61 @@ def _literals(bits: BitReader, lengths: list[np.ndarray], total: int, window: in
                 looked[id(c)] = entry, entry & 15
             step = step + looked[id(c)][1][step] if c.width else step
             steps.append(step)
+        if copies:
+            if codes[0].width:
+                steps[4] = np.where(looked[id(codes[0])][0][:size] >= 256 << 4, -1, steps[4])
+            elif codes[0].table[0] >= 256 << 4:
+                steps[4] = np.full(size, -1, np.int32)
         jump = memoryview(steps[4])
-        at, room, chain = start & 7, total - done, []
+        at, before = start & 7, done
         stop = size - 64 if first + window + 16 < len(data) else size
-        push = chain.append
-        while room and at < stop:
-            push(at)
-            at = jump[at]
-            room -= 1
-        found = np.array(chain, np.int64)
-        for column, c, s in zip((2, 1, 3, 0), codes, steps):
-            out[done : done + len(found), column] = looked[id(c)][0][s[found]] >> 4 if c.width else c.table[0] >> 4
-        done += len(found)
+        while done < total and 0 <= at < stop:
+            chain, room = [], total - done
+            push = chain.append
+            while room and 0 <= at < stop:
+                push(at)
+                at = jump[at]
+                room -= 1
+            copy = chain.pop() if at < 0 else None
+            found = np.array(chain, np.int64)
+            for column, c, s in zip((2, 1, 3, 0), codes, steps):
+                out[done : done + len(found), column] = looked[id(c)][0][s[found]] >> 4 if c.width else c.table[0] >> 4
+            done += len(found)
+            if copy is not None:
+                bits.at = first * 8 + copy
+                n, d = _copy(bits, codes[0].read(bits) - 256, far, width)
+                if d > done or done + n > total:
+                    raise ValueError("copy reaches outside the image")
+                source = out[done - d : min(done, done - d + n)]
+                out[done : done + n] = source if len(source) == n else np.resize(source, (n, 4))
+                done += n
+                at = bits.at - first * 8
         start = first * 8 + at
-        if not len(found) or start > bits.end:
+        if done == before or start > bits.end:
             raise ValueError("stream ends early")
     bits.at = start
     return out
 
 
+def _extra(bits: BitReader, s: int) -> int:
+    if s < 4:
+        return s + 1
+    n = (s - 2) >> 1
+    return ((2 + (s & 1)) << n) + bits.read(n) + 1
+
+
+def _copy(bits: BitReader, s: int, far: Prefix | None, width: int) -> tuple[int, int]:
+    """(length, distance) of the copy whose length symbol was read."""
+    n = _extra(bits, s)
+    if far is None:
+        raise ValueError("copy without distances")
+    d = _extra(bits, far.read(bits))
+    if d > 120:
+        return n, d - 120
+    x, y = NEAR[d - 1]
+    return n, max(1, x + y * width)
+
+
 def _read_image(bits: BitReader, width: int, height: int, main: bool) -> np.ndarray:
     cache_bits = bits.read(4) if bits.read(1) else 0
     groups, which, block = 1, None, 0
@@ -485,20 +645,14 @@ def _read_image(bits: BitReader, width: int, height: int, main: bool) -> np.ndar
         groups = max(which) + 1
     lengths = [_read_group(bits, cache_bits) for _ in range(groups)]
     total = width * height
-    if groups == 1 and not cache_bits and not lengths[0][0][256:].any():
-        return _literals(bits, lengths[0], total)
+    if groups == 1 and not cache_bits:
+        return _stretches(bits, lengths[0], total, width)
     codes = [[Prefix(n) if n.any() else None for n in g] for g in lengths]
     cache = [0] * (1 << cache_bits) if cache_bits else None
     out: list[int] = []
     wide = _blocks(width, block)
     seen = 0  # pixels that have entered the cache
 
-    def extra(s: int) -> int:
-        if s < 4:
-            return s + 1
-        n = (s - 2) >> 1
-        return ((2 + (s & 1)) << n) + bits.read(n) + 1
-
     while len(out) < total:
         at = len(out)
         group = codes[which[(at // width >> block) * wide + (at % width >> block)] if which else 0]
@@ -507,13 +661,7 @@ def _read_image(bits: BitReader, width: int, height: int, main: bool) -> np.ndar
             r, b, a = group[1].read(bits), group[2].read(bits), group[3].read(bits)
             out.append(a << 24 | r << 16 | s << 8 | b)
         elif s < 280:
-            n = extra(s - 256)
-            d = extra(group[4].read(bits))
-            if d > 120:
-                d -= 120
-            else:
-                x, y = NEAR[d - 1]
-                d = max(1, x + y * width)
+            n, d = _copy(bits, s - 256, group[4], width)
             if d > at or at + n > total:
                 raise ValueError("copy reaches outside the image")
             for _ in range(n):
@@ -631,6 +779,11 @@ def _undo(kind: int, image: np.ndarray, width: int, height: int, size: int, tabl
         red = (v[..., 1] + _delta_each(element[..., 3], v[..., 2])) & 255
         blue = (v[..., 3] + _delta_each(element[..., 2], v[..., 2]) + _delta_each(element[..., 1], red)) & 255
         return np.stack([v[..., 0], red, v[..., 2], blue], axis=-1).astype(np.uint8)
+    if (element[..., 2] == 2).all():  # the pixel above everywhere: running sums
+        image = image.copy()
+        image[0, 0, 0] += 255
+        image[0] = np.cumsum(image[0], axis=0, dtype=np.uint8)
+        return np.cumsum(image, axis=0, dtype=np.uint8)
     modes, rows = element[..., 2].tolist(), image.tolist()
     for y in range(height):
         for x in range(width):
@@ -657,7 +810,7 @@ def padded(raw: bytes) -> bytes:
 def store(payload: bytes) -> bytes:
     """The payload as one or more files of red, green and blue samples, 192 pixels a row, one after another."""
     samples = np.frombuffer(payload, np.uint8).reshape(-1, ROW_PIXELS, 3)
-    return b"".join(encode(samples[i : i + MAX_SIDE]) for i in range(0, len(samples), MAX_SIDE))
+    return b"".join(encode(samples[i : i + MAX_SIDE], best=True) for i in range(0, len(samples), MAX_SIDE))
 
 
 def load(media: bytes) -> np.ndarray:
@@ -686,31 +839,43 @@ def describe(pixels: np.ndarray) -> str:
     return f"rgb={means[0]},{means[1]},{means[2]};entropy={entropy};hash={int(''.join('1' if b else '0' for b in bright), 2):016x}"
 
 
-def media_column(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: bool = True) -> DataFrame:
-    """Store each whole text as lossless WebP, read the stored bytes back and describe the pixels.
+MEDIA = "doc_id bigint, n_bytes bigint, media binary, height int, width int, pixels binary, feature string"
 
-    Columns: ``doc_id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256,
-    feature`` and, with ``keep``, ``height, width, media`` (the stored files) and ``pixels`` (the decoded samples,
-    row by row).  Null texts count as empty and give one row of samples 255; null ids stay null; equal
-    texts give equal values; texts of more than 16384 rows go to several files, one after another; an
-    empty table gives an empty table; other columns are ignored.  A map without shuffle.
+
+def media_column(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Store each whole text as lossless WebP, read the stored bytes back to pixels and describe these.
+
+    Columns: ``doc_id, n_bytes, media`` (the stored files), ``height, width, pixels`` (the decoded samples, row by
+    row) and ``feature``.  Null texts count as empty and give one row of samples 255; null ids stay null; equal
+    texts give equal values; texts of more than 16384 rows go to several files, one after another; repeated
+    rows give repeated rows; an empty table gives an empty table; other columns are ignored.  A map
+    without shuffle.
     """
-    names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"] + ["height", "width", "media", "pixels"] * keep
-    types = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()] + [pa.int32(), pa.int32(), pa.binary(), pa.binary()] * keep
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import zlib
-
+        kinds = (pa.int64(), pa.binary(), pa.int32(), pa.int32(), pa.binary(), pa.string())
+        names = [c.split()[0] for c in MEDIA.split(", ")]
         for batch in batches:
             rows: list[tuple] = []
             for text in batch.column(1).to_pylist():
                 raw = text.encode("utf-8", "surrogatepass")
                 media = store(padded(raw))
                 pixels = load(media)
-                back = pixels.tobytes()
-                row = (len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-32:]), len(media), hashlib.sha256(media).hexdigest(), describe(pixels))
-                rows.append(row + ((pixels.shape[0], pixels.shape[1], media, back) if keep else ()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([r[i] for r in rows], t) for i, t in enumerate(types))], names)
-
-    schema = "doc_id bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string" + ", height int, width int, media binary, pixels binary" * keep
-    return arrow_map(df.select(F.col(id_col).cast("bigint").alias("doc_id"), text_of(text_col).alias("text")), run, schema)
+                rows.append((len(raw), media, pixels.shape[0], pixels.shape[1], pixels.tobytes(), describe(pixels)))
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([r[i] for r in rows], t) for i, t in enumerate(kinds))], names)
+
+    return arrow_map(df.select(F.col(id_col).cast("bigint").alias("doc_id"), text_of(text_col).alias("text")), run, MEDIA)
+
+
+def media_digests(media: DataFrame) -> DataFrame:
+    """Sizes and digests of the pixel arrays and of the stored files, one row for each of :func:`media_column`."""
+    return media.select(
+        "doc_id",
+        "n_bytes",
+        F.octet_length("pixels").cast("bigint").alias("payload_bytes"),
+        F.sha2("pixels", 256).alias("payload_sha256"),
+        F.crc32(F.substring("pixels", -32, 32)).alias("tail_crc32"),
+        F.octet_length("media").cast("bigint").alias("media_bytes"),
+        F.sha2("media", 256).alias("media_sha256"),
+        "feature",
+    )

@@ -39,7 +39,7 @@ OPERATORS = {
     "tokens": lambda s, d: tokens.token_counts(d),
     "leaks": lambda s, d: decontaminate.contamination(d, items(s)),
     "toxicity": lambda s, d: toxicity.toxicity(d, labels(s)),
-    "media": lambda s, d: webp.media_column(d, keep=False),
+    "media": lambda s, d: webp.media_digests(webp.media_column(d)),
     "similar": lambda s, d: jaccard.similar_documents(d),
     "quality": lambda s, d: quality.quality(d, labels(s)),
     "mixing": lambda s, d: mixing.mixed_documents(d),
