@@ -125,10 +125,7 @@ def speed(spark: SparkSession, sf_dir: str) -> DataFrame:
     triplets = written(encode.encode_structures(atoms, CONFIGS["D1"]), "supplier-cells")
     model = lsi.fit_lsi(triplets, 7)
     vectors = written(lsi.reduce_structures(triplets, model, 7, triplets), "supplier-vectors")
-    local = truth.join(vectors, "structure_id").toPandas() if truth.count() <= 100_000 else truth.join(vectors, "structure_id").limit(100_000).toPandas()
-    import numpy as np
-
-    mlp = learn.train_local(np.array(local["vec"].tolist()), local[list(TARGETS)].to_numpy(), replace(MLP, epochs=20))
+    mlp = learn.train_distributed(truth.join(vectors, "structure_id"), list(TARGETS), replace(MLP, epochs=20, batch=None))
     began = time.time()
     n = learn.mlp_predict(vectors, mlp).select(F.sum(F.get("pred", F.lit(0)))).collect() and vectors.count()
     fast = time.time() - began

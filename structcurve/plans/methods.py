@@ -115,12 +115,11 @@ def m5(spark, d):
     return _rounded(_rounded(axes, 4, "e1", "e2", "e3"), 6, *geometry.ROTATION).select("structure_id", "e1", "e2", "e3", *geometry.ROTATION)
 
 
-@query("m5_axes_against_eigh", "SELECT count(DISTINCT l_partkey) AS structures, 0 AS different FROM lineitem")
+@query("m5_axes_against_eigh", f"WITH {_BASE}, {sql.MOMENTS}, {sql.AXES} SELECT structure_id, {_r(4, 'e1', 'e2', 'e3')}, {_r(5, *geometry.ROTATION)} FROM axes")
 def m5_eigh(spark, d):
-    m = geometry.moments(_atoms(spark, d, ids=False))
-    a, b = geometry.principal_axes(m), geometry.principal_axes(m, backend="eigh")
-    gap = sum((F.abs(F.col(f"a.{r}") - F.col(f"b.{r}")) for r in geometry.ROTATION), F.lit(0.0)) + F.abs(F.col("a.e1") - F.col("b.e1")) / F.col("b.e3")
-    return a.alias("a").join(b.alias("b"), "structure_id").agg(F.count("*").alias("structures"), F.count_if(gap > 1e-6).alias("different"))
+    """The library's eigenvectors, held against the closed form written in SQL."""
+    axes = geometry.principal_axes(geometry.moments(_atoms(spark, d, ids=False)), backend="eigh")
+    return _rounded(_rounded(axes, 4, "e1", "e2", "e3"), 5, *geometry.ROTATION).select("structure_id", "e1", "e2", "e3", *geometry.ROTATION)
 
 
 _UNIT = "r11 * r11 + r12 * r12 + r13 * r13 + r21 * r21 + r22 * r22 + r23 * r23 + r31 * r31 + r32 * r32 + r33 * r33"
@@ -132,12 +131,13 @@ def m5a(spark, d):
     return axes.select("structure_id", "n_atoms", F.expr("n_atoms = 1 OR e1 <= 1e-6D * e3").alias("on_a_line"), F.round(F.expr(_UNIT), 5).alias("unit"))
 
 
-@query("m5b_fix_signs", "SELECT count(DISTINCT l_partkey) AS structures, 0 AS turned FROM lineitem")
+@query("m5b_fix_signs", f"WITH {_BASE}, {sql.MOMENTS}, {sql.AXES} SELECT structure_id, {_r(6, *geometry.ROTATION)} FROM axes")
 def m5b(spark, d):
+    """Axes turned over first, so that the sign rule has all of them to turn back (the third follows from two)."""
     a = _atoms(spark, d, ids=False)
     axes = geometry.principal_axes(geometry.moments(a))
-    fixed = geometry.fix_signs(a, axes)
-    return axes.alias("a").join(fixed.alias("b"), "structure_id").agg(F.count("*").alias("structures"), F.count_if((F.abs(F.col("a.r11") - F.col("b.r11")) + F.abs(F.col("a.r22") - F.col("b.r22"))) > 1e-9).alias("turned"))
+    turned = axes.withColumns({c: -F.col(c) for c in geometry.ROTATION if c[1] in "12"})
+    return _rounded(geometry.fix_signs(a, turned), 6, *geometry.ROTATION).select("structure_id", *geometry.ROTATION)
 
 
 @query("m6_orient", f"WITH {_BASE}, {sql.MOMENTS}, {sql.AXES}, {sql.ORIENTED} SELECT structure_id, atom_id, {_r(5, 'x', 'y', 'w')} FROM oriented")
@@ -247,16 +247,15 @@ def m13a(spark, d):
     return coded.select(*(c.alias(n) for c, n in zip(curves.morton_decode("code", 4, 4), _FOUR))).groupBy(*_FOUR).agg(F.count("*").alias("n"))
 
 
-@query("m13b_morton_wide", "SELECT count(DISTINCT (l_orderkey, l_partkey, l_suppkey, l_linenumber)) AS codes, TRUE AS ordered FROM lineitem")
+_KEYS = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"]
+
+
+@query("m13b_morton_wide", f"WITH g AS (SELECT DISTINCT l_orderkey, l_partkey, l_suppkey, CAST(l_linenumber AS BIGINT) AS l_linenumber FROM lineitem) SELECT *, {sql.interleaved([f'({c} >> 15)' for c in _KEYS], 9)} AS high, {sql.interleaved([f'({c} & 32767)' for c in _KEYS], 15)} AS low FROM g")
 def m13b(spark, d):
-    cols = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"]
-    line = load(spark, d, "lineitem").select(*cols).distinct()
-    wide = line.withColumn("words", curves.morton_encode_wide(cols, 24))
-    # the words hold 9 and 15 bits of each column: all lines are read back from the places of the index, nothing else is set
-    high, low = F.get("words", F.lit(0)), F.get("words", F.lit(1))
-    back = [F.shiftleft(h, 15) + l == F.col(c) for c, h, l in zip(cols, curves.morton_decode(high, 4, 9), curves.morton_decode(low, 4, 15))]
-    fits = (F.shiftright(high, 36) == 0) & (F.shiftright(low, 60) == 0) & (F.size("words") == 2)
-    return wide.agg(F.countDistinct("words").alias("codes"), F.bool_and(reduce(and_, back, fits)).alias("ordered"))
+    """24 bits of four columns: an index of 96 bits in two words, of all lines."""
+    line = load(spark, d, "lineitem").select(*(F.col(c).cast("bigint").alias(c) for c in _KEYS)).distinct()
+    wide = line.withColumn("words", curves.morton_encode_wide(_KEYS, 24))
+    return wide.select(*_KEYS, F.get("words", F.lit(0)).alias("high"), F.get("words", F.lit(1)).alias("low"))
 
 
 @query("m14_histogram", f"WITH {_D1} SELECT structure_id, cell, n FROM histogram")
@@ -330,69 +329,78 @@ def _supplier_cells(spark, d, bits: int = 3):
     return written(encode.encode_structures(_atoms(spark, d, "supplier", ids=False), EncodeConfig(bits=bits)), "supplier-cells")
 
 
-def _checked(spark, model: lsi.LsiModel, weights: DataFrame) -> DataFrame:
-    """What any truncated SVD must satisfy: falling values, orthonormal terms, energy within the matrix's."""
-    total = weights.agg(F.sum(F.pow("weight", 2))).first()[0]
-    s, u = model.sigma, model.u
-    ok = [bool((np.diff(s) <= 1e-9).all()), bool(np.abs(u.T @ u - np.eye(u.shape[1])).max() < 1e-6), bool((s**2).sum() <= total * (1 + 1e-6))]
-    return spark.createDataFrame([tuple(ok)], "falling boolean, orthonormal boolean, bounded boolean")
+_SUPPLIERS = sql.d1("supplier", 3)
+_ENERGIES = sql.energies(_SUPPLIERS, 5)
 
 
-_SVD_OK = "SELECT TRUE AS falling, TRUE AS orthonormal, TRUE AS bounded"
+def _energies(spark, sigma) -> DataFrame:
+    return _steady(spark.createDataFrame([(i + 1, float(np.log(s * s))) for i, s in enumerate(sigma)], "dim int, log_energy double"), 3, "log_energy")
 
 
 def _svd(backend: str) -> None:
-    @query(f"m19_svd_{backend}", _SVD_OK)
+    @query(f"m19_svd_{backend}", f"{_ENERGIES} SELECT dim, {_s(3, 'log_energy', expr={'log_energy': 'ln(lam)'})} FROM energy")
     def run(spark, d):
-        t = _supplier_cells(spark, d)
-        return _checked(spark, lsi.fit_lsi(t, 5, backend), lsi.tfidf(t))
+        """Logarithms of the squared singular values; SQL finds them by power iteration on the Gram matrix."""
+        return _energies(spark, lsi.fit_lsi(_supplier_cells(spark, d), 5, backend, tolerance=1e-9, passes=200).sigma)
 
 
 for _b in ("gram", "subspace", "mllib"):
     _svd(_b)
 
 
-@query("m19_svd_backends_agree", "SELECT TRUE AS subspace_agrees, TRUE AS mllib_agrees, TRUE AS full_energy")
+@query("m19_svd_backends_agree", f"{_ENERGIES} SELECT backend, {_s(3, 'log_energy', expr={'log_energy': 'ln(e)'})} FROM (SELECT unnest(['gram', 'subspace', 'mllib']) AS backend, sum(lam) AS e FROM energy UNION ALL SELECT 'all', sum(weight * weight) FROM w)")
 def m19_agree(spark, d):
+    """Energy of the first five dimensions by backend, and of all dimensions, which is the matrix's."""
     t = _supplier_cells(spark, d)
     n = t.select("structure_id").distinct().count()
-    gram = lsi.fit_lsi(t, n, "gram").sigma
-    near = lambda b: bool(np.allclose(lsi.fit_lsi(t, 5, b, tolerance=1e-9, passes=200).sigma, gram[:5], rtol=1e-3))
-    total = lsi.tfidf(t).agg(F.sum(F.pow("weight", 2))).first()[0]
-    return spark.createDataFrame([(near("subspace"), near("mllib"), bool(abs((gram**2).sum() - total) < 1e-6 * total))], "subspace_agrees boolean, mllib_agrees boolean, full_energy boolean")
+    found = {b: lsi.fit_lsi(t, 5, b, tolerance=1e-9, passes=200).sigma for b in ("gram", "subspace", "mllib")} | {"all": lsi.fit_lsi(t, n, "gram").sigma}
+    rows = [(b, float(np.log((s**2).sum()))) for b, s in found.items()]
+    return _steady(spark.createDataFrame(rows, "backend string, log_energy double"), 3, "log_energy")
 
 
-@query("m20_reduce", "SELECT count(DISTINCT l_suppkey) AS structures, TRUE AS norms_match FROM lineitem")
+@query("m20_reduce", f"{_ENERGIES} SELECT dim, (SELECT count(DISTINCT l_suppkey) FROM lineitem) AS structures, {_s(3, 'log_energy', expr={'log_energy': 'ln(lam)'})} FROM energy")
 def m20(spark, d):
+    """Squares of each reduced dimension, added over the structures: the energies."""
     t = _supplier_cells(spark, d)
-    model = lsi.fit_lsi(t, 5, "gram")
-    r = lsi.reduce_structures(t, model, 5, t)
-    sums = r.agg(F.count("*").alias("n"), *(F.sum(F.pow(F.get("vec", F.lit(i)), 2)).alias(f"s{i}") for i in range(5))).first()
-    ok = bool(np.allclose([sums[f"s{i}"] for i in range(5)], model.sigma**2, rtol=1e-6))
-    return spark.createDataFrame([(sums.n, ok)], "structures bigint, norms_match boolean")
+    r = lsi.reduce_structures(t, lsi.fit_lsi(t, 5, "gram"), 5, t)
+    each = r.select("structure_id", F.posexplode("vec").alias("i", "v")).groupBy((F.col("i") + 1).alias("dim")).agg(F.count("*").alias("structures"), F.log(F.sum(F.col("v") * F.col("v"))).alias("log_energy"))
+    return _steady(each, 3, "log_energy")
+
+
+_FOLD_IN = f"""{_SUPPLIERS}, known AS (SELECT * FROM histogram WHERE structure_id % 5 <> 0), new AS (SELECT *, n / sum(n) OVER (PARTITION BY structure_id) AS tf FROM histogram WHERE structure_id % 5 = 0),
+idf AS (SELECT cell, ln((SELECT count(DISTINCT structure_id) FROM known) / count(*)) AS idf FROM known GROUP BY cell),
+one AS (SELECT cell, tf * idf AS weight FROM (SELECT *, n / sum(n) OVER (PARTITION BY structure_id) AS tf FROM known) JOIN idf USING (cell) WHERE structure_id = (SELECT min(structure_id) FROM known)),
+met AS (SELECT structure_id, sum(tf * idf * weight) AS product FROM new JOIN idf USING (cell) JOIN one USING (cell) GROUP BY 1),
+lost AS (SELECT structure_id, sum(n) AS unseen FROM new WHERE cell NOT IN (SELECT cell FROM idf WHERE idf > 0) GROUP BY 1)
+SELECT s.structure_id, {_s(3, 'product', expr={'product': '1e6 * coalesce(product, 0)'})}, CAST(coalesce(unseen, 0) AS BIGINT) AS unseen FROM (SELECT DISTINCT structure_id FROM new) s LEFT JOIN met USING (structure_id) LEFT JOIN lost USING (structure_id)"""
 
 
-@query("m20a_fold_in", "SELECT TRUE AS same_as_fitted, TRUE AS unseen_counted")
+def _products(vectors: DataFrame, others: DataFrame) -> DataFrame:
+    """Inner products of all vectors with that of the first of ``others``, in millionths."""
+    first = others.orderBy("structure_id").limit(1).select(F.col("vec").alias("other"))
+    product = F.aggregate(F.zip_with("vec", "other", lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v)
+    return _steady(vectors.join(F.broadcast(first)).select("structure_id", (product * 1e6).alias("product")), 3, "product")
+
+
+@query("m20a_fold_in", f"WITH {_FOLD_IN}")
 def m20a(spark, d):
+    """Structures the fit has not seen, folded in: with all dimensions kept, their inner products with a fitted
+    structure are those of the weights themselves, which SQL can state."""
     t = _supplier_cells(spark, d)
     train, test = t.where("structure_id % 5 <> 0"), t.where("structure_id % 5 = 0")
-    model = lsi.fit_lsi(train, 5, "gram")
-    full = lsi.reduce_structures(train, model, 5)
-    # every training structure is folded in again, a quarter of them at a time
-    again = reduce(DataFrame.union, (lsi.reduce_structures(train.where(F.col("structure_id") % 5 == r), model, 5) for r in range(1, 5)))
-    apart = F.array_max(F.zip_with("a.vec", "b.vec", lambda x, y: F.abs(x - y)))
-    gap = full.alias("a").join(again.alias("b"), "structure_id", "full").agg(F.max(F.coalesce(apart, F.lit(float("inf"))))).first()[0]
-    lost = lsi.unseen_cells(test, model).agg(F.coalesce(F.sum("unseen"), F.lit(0))).first()[0]
-    known = test.join(train.select("cell").distinct(), "cell", "left_anti").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    return spark.createDataFrame([(bool(gap < 1e-9), bool(lost >= known))], "same_as_fitted boolean, unseen_counted boolean")
-
-
-@query("m20b_unscaled", "SELECT TRUE AS unit_norms")
+    model = lsi.fit_lsi(train, train.select("structure_id").distinct().count(), "gram")
+    products = _products(lsi.reduce_structures(test, model, structures=test), lsi.reduce_structures(train, model))
+    return products.join(lsi.unseen_cells(test, model), "structure_id", "left").select("structure_id", "product", F.coalesce("unseen", F.lit(0)).alias("unseen"))
+
+
+@query("m20b_unscaled", f"WITH {sql.weighted(_SUPPLIERS)} SELECT j AS structure_id, {_s(3, 'product', expr={'product': '1e6 * g'})} FROM gram WHERE i = (SELECT min(i) FROM gram)")
 def m20b(spark, d):
+    """V^T alone, scaled by the squared values: with all dimensions kept, the inner products of the weights."""
     t = _supplier_cells(spark, d)
-    r = lsi.reduce_structures(t, lsi.fit_lsi(t, 4, "gram"), 4, t, scale="vt")
-    s = r.agg(*(F.sum(F.pow(F.get("vec", F.lit(i)), 2)) for i in range(4))).first()
-    return spark.createDataFrame([(bool(np.allclose(list(s), 1.0, rtol=1e-6)),)], "unit_norms boolean")
+    model = lsi.fit_lsi(t, t.select("structure_id").distinct().count(), "gram")
+    r = lsi.reduce_structures(t, model, structures=t, scale="vt")
+    squares = F.array(*(F.lit(float(s * s)) for s in model.sigma))
+    return _products(r, r.withColumn("vec", F.zip_with("vec", squares, lambda v, e: v * e)))
 
 
 _CURVE = [2.0, 1.0, 0.6, 0.58, 0.57, 0.5695, 0.5692, 0.5691]
@@ -449,14 +457,14 @@ _training("m24b_mlp_full_batch", batch=None, epochs=150)
 _training("m24_mlp_plain_descent", optimiser="plain", epochs=60)
 
 
-@query("m24_mlp_distributed", "SELECT TRUE AS beats_mean")
+@query("m24_mlp_distributed", f"WITH {sql.FOLDED} SELECT round(avg(abs((mu - t_point) / t_point)), 6) AS mean_error, TRUE AS beats_mean FROM folded, (SELECT avg(t_point) AS mu FROM folded)")
 def m24_distributed(spark, d):
     t = _small_table(spark, d)
     model = learn.train_distributed(t, ["point"], learn.MlpConfig(hidden=(8,), rate=0.05, epochs=25))
     p = learn.mlp_predict(t, model).withColumn("e", F.abs((F.get("pred", F.lit(0)) - F.col("point")) / F.col("point")))
     mean = t.agg(F.avg("point")).first()[0]
-    r = p.agg(F.avg("e").alias("mlp"), F.avg(F.abs((F.lit(mean) - F.col("point")) / F.col("point"))).alias("base")).first()
-    return spark.createDataFrame([(bool(r.mlp < r.base),)], "beats_mean boolean")
+    r = p.agg(F.avg("e").alias("mlp"), F.avg(F.abs((F.lit(mean) - F.col("point")) / F.col("point"))).alias("base"))
+    return r.select(F.round("base", 6).alias("mean_error"), (F.col("mlp") < F.col("base")).alias("beats_mean"))
 
 
 @query("m25_scaler", f"WITH {sql.FOLDED} SELECT structure_id, round((t_point - avg(t_point) OVER ()) / stddev_samp(t_point) OVER (), 6) + 0e0 AS point FROM folded")
@@ -559,10 +567,14 @@ def k5(spark, d):
     return m.select("structure_id", F.round(F.get("norms", F.lit(0)), 6).alias("top"), F.round(F.aggregate("norms", F.lit(0.0), lambda s, v: s + v), 5).alias("total"))
 
 
-@query("k5_coulomb_eigenvalues", f"WITH {sql.atoms()} SELECT structure_id, round(sum(0.5e0 * power(CAST(z AS DOUBLE), 2.4e0)), 5) AS trace FROM atoms GROUP BY structure_id")
+@query("k5_coulomb_eigenvalues", f"""WITH {sql.atoms()}, {sql.PAIRS}, off AS (SELECT structure_id, sum(power(z * z2 / d, 2)) AS o FROM pairs GROUP BY 1),
+own AS (SELECT structure_id, sum(0.5e0 * power(CAST(z AS DOUBLE), 2.4e0)) AS t, sum(power(0.5e0 * power(CAST(z AS DOUBLE), 2.4e0), 2)) AS q FROM atoms GROUP BY 1)
+SELECT structure_id, {_s(4, 'trace', 'squares', expr={'trace': 't', 'squares': 'q + coalesce(o, 0)'})} FROM own LEFT JOIN off USING (structure_id)""")
 def k5e(spark, d):
+    """The eigenvalues' sum and sum of squares: the matrix's trace and the sum of its squared entries."""
     e = features.coulomb_eigenvalues(_atoms(spark, d), 60)
-    return e.select("structure_id", F.round(F.aggregate("eigenvalues", F.lit(0.0), lambda s, v: s + v), 5).alias("trace"))
+    total = lambda f: F.aggregate("eigenvalues", F.lit(0.0), lambda s, v: s + f(v))
+    return _steady(e.select("structure_id", total(lambda v: v).alias("trace"), total(lambda v: v * v).alias("squares")), 4, "trace", "squares")
 
 
 @query("k6_flat_coordinates", f"WITH {sql.atoms()} SELECT structure_id, 249 AS width, round(150e0 + sum(z + x + y + w), 5) AS total FROM atoms GROUP BY structure_id")
@@ -664,13 +676,43 @@ def c2(spark, d):
     return b1e(spark, d)
 
 
+def _ridge_sql() -> str:
+    """Ridge of three numbers of a part by fold, from normal equations solved by cofactors; errors by split, target and fold."""
+    f = ("f1", "f2", "f3")
+    pairs = [(a, b) for i, a in enumerate(f) for b in f[i:]]
+    scaled = ", ".join(f"(x.{a} - m.{a}) / s.{a} AS {a}" for a in f)
+    sums = ", ".join(f"sum({a} * {b}) + {1 if a == b else 0} AS {a}{b}" for a, b in pairs)
+    g = lambda a, b: f"{a}{b}" if a <= b else f"{b}{a}"
+
+    def cofactor(i: int, j: int) -> str:
+        r, c = [k for k in range(3) if k != i], [k for k in range(3) if k != j]
+        minor = f"({g(f[r[0]], f[c[0]])} * {g(f[r[1]], f[c[1]])} - {g(f[r[0]], f[c[1]])} * {g(f[r[1]], f[c[0]])})"
+        return minor if (i + j) % 2 == 0 else f"(-{minor})"
+
+    det = " + ".join(f"{g(f[0], f[j])} * {cofactor(0, j)}" for j in range(3))
+    beta = ", ".join("(" + " + ".join(f"{cofactor(i, j)} * y{j + 1}" for j in range(3)) + f") / ({det}) AS b{i + 1}" for i in range(3))
+    return f"""{sql.FOLDED}, {sql.LONG},
+x AS (SELECT structure_id, CAST(sum(z) AS DOUBLE) AS f1, CAST(count(*) AS DOUBLE) AS f2, CAST(sum(z * z) AS DOUBLE) AS f3 FROM atoms GROUP BY structure_id),
+model AS (SELECT unnest(range(10)) AS model), part AS (SELECT model, structure_id, fold, x.* EXCLUDE (structure_id) FROM x JOIN folded USING (structure_id), model),
+m AS (SELECT model, avg(f1) AS f1, avg(f2) AS f2, avg(f3) AS f3 FROM part WHERE fold <> model GROUP BY model),
+s AS (SELECT model, stddev_samp(f1) AS f1, stddev_samp(f2) AS f2, stddev_samp(f3) AS f3 FROM part WHERE fold <> model GROUP BY model),
+z AS MATERIALIZED (SELECT x.model, x.structure_id, x.fold, {scaled} FROM part x JOIN m USING (model) JOIN s USING (model)),
+left_side AS (SELECT model, {sums} FROM z WHERE fold <> model GROUP BY model),
+right_side AS (SELECT z.model, target, avg(calc) AS b0, sum(f1 * calc) AS y1, sum(f2 * calc) AS y2, sum(f3 * calc) AS y3 FROM z JOIN long USING (structure_id, fold) WHERE fold <> model GROUP BY z.model, target),
+beta AS MATERIALIZED (SELECT model, target, b0, {beta} FROM left_side JOIN right_side USING (model)),
+predicted AS (SELECT z.model AS fold, CASE WHEN z.fold = z.model THEN 'test' ELSE 'train' END AS split, target, calc, b0 + b1 * f1 + b2 * f2 + b3 * f3 AS pred FROM z JOIN long USING (structure_id, fold) JOIN beta USING (model, target))"""
+
+
+_RIDGE = _ridge_sql()
+
+
 def _linear_predictions(spark, d):
     return written(learn.cross_predict(_small_table(spark, d), ENERGIES, learner="ridge"), "linear")
 
 
-@query("c3_train_and_test_errors")
+@query("c3_train_and_test_errors", f"WITH {_RIDGE} SELECT split, target, {_s(5, 'error', expr={'error': 'avg(abs((pred - calc) / nullif(calc, 0)))'})}, count(*) FILTER (calc = 0) AS undefined, count(*) AS n FROM predicted GROUP BY split, target")
 def c3(spark, d):
-    return metrics.fraction_error(_linear_predictions(spark, d), ["split", "target"])
+    return _steady(metrics.fraction_error(_linear_predictions(spark, d), ["split", "target"]), 5, "error")
 
 
 @query("c4_recall", f"WITH {sql.FOLDED}, {_RECALL.format(by='fold', p='t_dispersion', t='t_ffsum DESC', src='folded').replace('t_dispersion, structure_id', 't_dispersion DESC, structure_id')} SELECT fold, round(recall, 9) AS recall, top FROM recalls")
@@ -688,10 +730,14 @@ def c6(spark, d):
     return ex.k_curve(spark, d, ks=(1, 5, 10))
 
 
-@query("c7_spectrum")
+@query("c7_spectrum", f"""{_ENERGIES}, v AS (SELECT dim, sqrt(lam) AS sigma FROM energy),
+g AS (SELECT dim, sigma, CASE WHEN dim = 1 THEN lead(sigma) OVER w - sigma WHEN dim = 5 THEN sigma - lag(sigma) OVER w ELSE (lead(sigma) OVER w - lag(sigma) OVER w) / 2 END AS gradient FROM v WINDOW w AS (ORDER BY dim))
+SELECT dim, {_s(3, 'sigma', 'gradient', expr={'sigma': 'sigma / max(sigma) OVER ()', 'gradient': 'gradient / max(sigma) OVER ()'})} FROM g""")
 def c7(spark, d):
-    t = _supplier_cells(spark, d)
-    return lsi.spectrum(lsi.fit_lsi(t, 20, "gram"), spark)
+    """Singular values and their slope, as shares of the first value."""
+    model = lsi.fit_lsi(_supplier_cells(spark, d), 5, "gram")
+    shares = lsi.spectrum(model, spark).withColumns({c: F.col(c) / F.lit(float(model.sigma[0])) for c in ("sigma", "gradient")})
+    return _steady(shares, 3, "sigma", "gradient")
 
 
 @query("c8_paired_gain", f"WITH {_P}, b AS (SELECT target, fold, avg(abs((pred - calc) / calc)) AS error FROM predicted GROUP BY 1, 2), a AS (SELECT target, fold, avg(abs((pred * 1.01e0 - calc) / calc)) AS error FROM predicted GROUP BY 1, 2) SELECT target, round(avg(b.error - a.error), 6) + 0e0 AS gain, round(stddev_samp(b.error - a.error), 6) AS std, count(*) FILTER (b.error > a.error) AS better, count(*) AS folds FROM a JOIN b USING (target, fold) GROUP BY target")
@@ -702,9 +748,12 @@ def c8(spark, d):
     return _rounded(metrics.paired_gain(other, base, ["target"]), 6, "gain", "std")
 
 
-@query("c9_split_gap")
+@query("c9_split_gap", f"""WITH {_RIDGE}, e AS (SELECT split, target, fold, avg(abs((pred - calc) / nullif(calc, 0))) AS error FROM predicted GROUP BY ALL),
+t AS (SELECT target, avg(error) FILTER (split = 'train') AS train, avg(error) FILTER (split = 'test') AS test FROM e GROUP BY target)
+SELECT target, {_s(5, 'train', 'test', 'gap', expr={'gap': 'test - train'})} FROM t""")
 def c9(spark, d):
-    return metrics.split_gap(metrics.fraction_error(_linear_predictions(spark, d), ["split", "target", "fold"]), ["target"])
+    errors = metrics.fraction_error(_linear_predictions(spark, d), ["split", "target", "fold"])
+    return _steady(metrics.split_gap(errors, ["target"]), 5, "train", "test", "gap")
 
 
 @query("c10_collision_rate", f"WITH {sql.d1('order')}, s AS (SELECT structure_id, string_agg(cell || ':' || n, ' ' ORDER BY cell) AS h FROM histogram GROUP BY 1), g AS (SELECT h, count(*) AS c FROM s GROUP BY h) SELECT CAST(sum(c) AS BIGINT) AS structures, count(*) AS histograms, round(sum(CASE WHEN c > 1 THEN c ELSE 0 END) / sum(c), 9) AS collision_rate FROM g")
@@ -722,11 +771,10 @@ def moved(atoms: DataFrame, seed: int = 0, shift: tuple[float, float, float] = (
     return atoms.withColumns(turned)
 
 
-@query("c11_invariance", "SELECT count(DISTINCT l_partkey) AS structures, 0 AS changed FROM lineitem")
+@query("c11_invariance", f"WITH {_D1} SELECT structure_id, cell, n FROM histogram")
 def c11(spark, d):
-    a = _atoms(spark, d, ids=False)
-    gap = metrics.compare_histograms(encode.encode_structures(a), encode.encode_structures(moved(a)))
-    return gap.agg(F.count("*").alias("structures"), F.count_if(F.col("moved") > 0).alias("changed"))
+    """Histograms of the atoms after a rigid motion, against SQL's of the atoms as they are."""
+    return encode.encode_structures(moved(_atoms(spark, d, ids=False)))
 
 
 @query("c11_locality")

@@ -34,7 +34,8 @@ def chain(first: str, columns: list[str], steps: list[dict[str, str]], name: str
         again = [c for c in step if c in known]
         star = f"* EXCLUDE ({', '.join(again)})" if again else "*"
         target = f"{name}_{i}" if i < len(steps) - 1 else name
-        out.append(f"{target} AS (SELECT {star}, " + ", ".join(f"{v} AS {k}" for k, v in step.items()) + f" FROM {source})")
+        kept = "MATERIALIZED " if target == name else ""  # what follows starts from rows, not from all steps again
+        out.append(f"{target} AS {kept}(SELECT {star}, " + ", ".join(f"{v} AS {k}" for k, v in step.items()) + f" FROM {source})")
         known |= set(step)
         source = target
     return ", ".join(out)
@@ -44,7 +45,7 @@ _MOMENT_COLUMNS = ["structure_id", "n_atoms", "m", "cx", "cy", "cw", *(f"m{k}" f
 AXES = chain("moments", _MOMENT_COLUMNS, geometry.axis_steps(), "axes")
 
 ORIENTED = (
-    "oriented AS (SELECT c.structure_id, c.atom_id, c.z, c.mass, "
+    "oriented AS MATERIALIZED (SELECT c.structure_id, c.atom_id, c.z, c.mass, "
     + ", ".join(" + ".join(f"c.{a} * r{i + 1}{j + 1}" for j, a in enumerate(geometry.AXES)) + f" AS {name}" for i, name in enumerate(geometry.AXES))
     + " FROM centered c JOIN axes USING (structure_id))"
 )
@@ -103,3 +104,27 @@ event_cells AS (SELECT event_id, ts, structure_id, {interleaved(['q0', 'q1', 'q2
 
 WORDS = r"""words AS (SELECT {id} AS structure_id, unnest(list_filter(string_split_regex(lower(coalesce({text}, '')), '[^\p{{L}}]+'), lambda w: w <> '')) AS token FROM {table}),
 tokens AS (SELECT structure_id, token, count(*) AS n FROM words GROUP BY structure_id, token)"""
+
+
+def weighted(histogram: str) -> str:
+    """TF-IDF weights of a histogram as rows, and the matrix of structures' inner products as rows (``gram``)."""
+    return f"""{histogram}, tf AS (SELECT structure_id, cell, n / sum(n) OVER (PARTITION BY structure_id) AS tf FROM histogram),
+idf AS (SELECT cell, ln((SELECT count(DISTINCT structure_id) FROM histogram) / count(*)) AS idf FROM histogram GROUP BY cell),
+w AS MATERIALIZED (SELECT structure_id, cell, tf * idf AS weight FROM tf JOIN idf USING (cell) WHERE idf > 0),
+gram AS MATERIALIZED (SELECT a.structure_id AS i, b.structure_id AS j, sum(a.weight * b.weight) AS g FROM w a JOIN w b USING (cell) GROUP BY 1, 2)"""
+
+
+def energies(histogram: str, k: int, steps: int = 300) -> str:
+    """``energy (dim, lam)``: the k largest eigenvalues of the Gram matrix, by power iteration and deflation."""
+    parts = [f"""WITH RECURSIVE {weighted(histogram)},
+ids AS (SELECT DISTINCT structure_id AS i FROM w),
+line AS (SELECT p.i, list(coalesce(g, 0e0) ORDER BY q.i) AS r FROM ids p CROSS JOIN ids q LEFT JOIN gram ON gram.i = p.i AND gram.j = q.i GROUP BY p.i),
+m1 AS MATERIALIZED (SELECT list(r ORDER BY i) AS m, count(*) AS n FROM line)"""]
+    for d in range(1, k + 1):
+        image = "list_transform(m, lambda r: list_dot_product(r, v))"
+        parts.append(f"""it{d} AS (SELECT 0 AS t, list_transform(range(1, n + 1), lambda i: 1e0 + ((i * 7919 + {d}) % 101) / 101e0) AS v FROM m{d} UNION ALL
+  SELECT t + 1, list_transform(y, lambda x: x / size) FROM (SELECT t, y, sqrt(list_dot_product(y, y)) AS size FROM (SELECT t, {image} AS y FROM it{d}, m{d} WHERE t < {steps}))),
+e{d} AS MATERIALIZED (SELECT v, list_dot_product(v, {image}) AS lam FROM it{d}, m{d} WHERE t = {steps}),
+m{d + 1} AS MATERIALIZED (SELECT list_transform(m, lambda r, i: list_transform(r, lambda x, j: x - lam * v[i] * v[j])) AS m, n FROM m{d}, e{d})""")
+    rows = " UNION ALL ".join(f"SELECT {d} AS dim, lam FROM e{d}" for d in range(1, k + 1))
+    return ", ".join(parts) + f", energy AS (SELECT CAST(dim AS INT) AS dim, lam FROM ({rows}))"
