@@ -837,7 +837,14 @@ def w1(spark, d):
     return m1_curation_audit(spark, d).select(F.col("all").alias("found"), F.col("rules").alias("curated"), F.col("kept").alias("uncharged"))
 
 
-@query("w2_encode_summary")
+_ENCODED = {
+    "D1": f"WITH {_D1}",
+    "D2": f"WITH {sql.atoms()}, {_BONDS}, {sql.POSE}, described AS (SELECT s.*, CAST(s.z + coalesce(b, 0) AS DOUBLE) AS descriptor FROM spherical s LEFT JOIN bonds USING (structure_id, atom_id)), {sql.cells('descriptor', '0e0', '16e0', source='described')}, {sql.HISTOGRAM}",
+    "D3": f"WITH {sql.atoms()}, {_COULOMB}, {sql.POSE}, described AS (SELECT s.*, coalesce(c, 0) AS descriptor FROM spherical s LEFT JOIN charge USING (structure_id, atom_id) WHERE r <= 60), {sql.cells('descriptor', _LO, _HI, source='described')}, {sql.HISTOGRAM}",
+}
+
+
+@query("w2_encode_summary", " UNION ALL ".join(f"SELECT * FROM ({q} SELECT '{rep}' AS rep, count(DISTINCT structure_id) AS structures, count(*) AS nonzeros, count(DISTINCT cell) AS cells, CAST(sum(n) AS BIGINT) AS atoms FROM histogram)" for rep, q in _ENCODED.items()))
 def w2(spark, d):
     out = None
     for rep in ex.CONFIGS:
@@ -918,5 +925,20 @@ def w15(spark, d):
     return geometry.replicate_images(geometry.center(a), lattice_of(a), 1, 60.0).agg(F.count("*").alias("atoms"), F.countDistinct("structure_id").alias("structures"))
 
 
+_RESOLUTIONS = {f"bits={b}": (b, 60.0) for b in (2, 3, 4, 5, 6, 8)} | {f"radius={r}": (4, float(r)) for r in (30, 45)}
+_GROUPED = "h AS (SELECT structure_id, string_agg(cell || ':' || n, ' ' ORDER BY cell) AS h FROM histogram GROUP BY 1), g AS (SELECT h, count(*) AS c FROM h GROUP BY h)"
+
+
+@query("w16_resolution", " UNION ALL ".join(f"SELECT * FROM (WITH {sql.d1('part', b, r)}, {_GROUPED} SELECT '{name}' AS variant, (SELECT count(*) FROM histogram) AS nonzeros, (SELECT count(DISTINCT cell) FROM histogram) AS cells, (SELECT CAST(sum(n) AS BIGINT) FROM histogram) AS atoms, round(sum(CASE WHEN c > 1 THEN c ELSE 0 END) / sum(c), 9) AS collision_rate FROM g)" for name, (b, r) in _RESOLUTIONS.items()))
+def w16_resolution(spark, d):
+    """Cells seen, non-zeros, atoms and collisions of the parts by bits and by radius."""
+    out = None
+    for name, (b, r) in _RESOLUTIONS.items():
+        t = written(ex.triplets_of(spark, d, config=EncodeConfig(bits=b, radius=r)), "resolution")
+        row = t.agg(F.lit(name).alias("variant"), F.count("*").alias("nonzeros"), F.countDistinct("cell").alias("cells"), F.sum("n").alias("atoms")).crossJoin(_rounded(metrics.collision_rate(t), 9, "collision_rate").select("collision_rate"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 query("w16_ablation")(lambda spark, d: ex.ablation(spark, d))
 query("w16_fit_on")(lambda spark, d: ex.fit_on(spark, d))
