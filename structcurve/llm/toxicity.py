@@ -1,13 +1,15 @@
 """Toxicity by nearest labelled examples under exact TF-IDF cosine.
 
-The vocabulary of the vectors is learnt from a bounded sample of labelled rows: whole words and
-word stems (prefixes) that go with the label, picked greedily so that every toxic example is
-covered several times.  How many of a text's words hit the vocabulary enters the vector as unary
-count terms, so that one stray word and many differ in angle.  Document frequencies for the
-weights are counted over all documents.  The examples form an inverted index cut into blocks with
-the largest weight of each term in each block; a query visits blocks in falling order of their
-bound and stops when no block can improve its k-th neighbour, so the neighbours are exact.
-Similarity-weighted votes are calibrated on the examples with each one left out.
+A text's vector holds all words that occur in at least two labelled examples, and beside them the terms of a
+vocabulary learnt from the labels: whole words and word stems (prefixes) that go with the label, picked
+greedily so that every toxic example is covered several times, with unary count terms for how many of the
+text's words hit it, so that one stray word and many differ in angle.  Document frequencies for the
+weights are counted over all documents.  The two parts are scaled to norms of 1 and WORDS: a text with
+vocabulary terms is nearest to examples that share them, any other to examples of like words.  All
+sampled examples, clean and toxic, form an inverted index cut into blocks with the largest weight of
+each term in each block; a query bounds all blocks, opens the best first and then those alone whose
+bound reaches its k-th neighbour, so the neighbours are exact.  Similarity-weighted votes are calibrated on
+a fifth of the examples that a vocabulary learnt from the other four fifths has not seen.
 """
 
 from __future__ import annotations
@@ -29,6 +31,8 @@ from .common import arrow_filter, arrow_map, crc_fold, text_of
 SCHEMA = "doc_id bigint, held_out boolean, score double, predicted int, n_hits int, neighbours array<bigint>, similarity array<double>, terms array<string>"
 WORD = re.compile(r"\w+")
 STEMS = (4, 5, 6, 7)
+#: Norm of the part of all words beside that of the vocabulary; words in more than this share of documents weigh nothing.
+WORDS, COMMON = 0.3, 0.1
 COUNT_TERMS = 8
 #: Bound of the sample of labelled rows that is fitted on, for each label.
 SAMPLE_PER_LABEL = 3000
@@ -48,38 +52,58 @@ def text_terms(text: str) -> set[str]:
 
 @dataclass
 class Vocabulary:
+    """Terms of the vectors: learnt terms first, then count terms, then plain words."""
+
     ids: dict[str, int]
-    memo: dict[str, tuple[int, int]] = field(default_factory=dict)
+    words: dict[str, int] = field(default_factory=dict)
+    memo: dict[str, tuple[int, int, int]] = field(default_factory=dict)
 
-    def counts(self, text: str) -> tuple[Counter, int]:
-        """Term id -> occurrences, unary count terms included, and how many words hit the vocabulary.
+    def counts(self, text: str) -> tuple[Counter, int, list[int]]:
+        """Term id -> occurrences, unary count terms included; how many words hit the vocabulary; ids of plain words.
 
         A word counts for its most specific term; where it has none, for a stem that needs two words.
         """
-        memo, ids, found, paired = self.memo, self.ids, Counter(), Counter()
+        memo, ids, found, paired, plain = self.memo, self.ids, Counter(), Counter(), []
         if len(memo) > 500_000:
             memo.clear()
+        base = len(ids) + COUNT_TERMS
         for w in WORD.findall(text.lower()):
             t = memo.get(w)
             if t is None:
                 one = [ids[x] for x in word_terms(w) if x in ids]
                 two = [ids[x + "*"] for x in word_terms(w)[1:] if x + "*" in ids]
-                t = memo[w] = (one[0] if one else -1, two[0] if two else -1)
+                t = memo[w] = (one[0] if one else -1, two[0] if two else -1, self.words.get(w, -1 - base) + base)
             if t[0] >= 0:
                 found[t[0]] += 1
             elif t[1] >= 0:
                 paired[t[1]] += 1
+            if t[2] >= 0:
+                plain.append(t[2])
         for t, n in paired.items():
             if n > 1:
                 found[t] += n
         n = sum(found.values())
         for j in range(min(n, COUNT_TERMS)):
             found[len(ids) + j] = 1
-        return found, n
+        return found, n, plain
 
-    def size(self) -> int:
+    def learnt(self) -> int:
         return len(self.ids) + COUNT_TERMS
 
+    def size(self) -> int:
+        return self.learnt() + len(self.words)
+
+
+def shared_words(texts: list[str]) -> dict[str, int]:
+    """Words of at least two texts, numbered in order."""
+    once: set[str] = set()
+    twice: set[str] = set()
+    for text in texts:
+        found = set(WORD.findall(text.lower()))
+        twice |= found & once
+        once |= found
+    return {w: i for i, w in enumerate(sorted(twice))}
+
 
 def _copy_key(text: str) -> int:
     """Equal for most near copies: the least hash of two long words in a row."""
@@ -141,45 +165,82 @@ def choose_vocabulary(texts: list[str], labels: list[int], cover: int = 6, preci
     return Vocabulary(ids)
 
 
+Vector = tuple[np.ndarray, np.ndarray]
+
+
+def _spread(start: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """The numbers start[i] .. start[i] + n[i] - 1 of all i, one after another."""
+    return np.arange(int(n.sum())) + np.repeat(start - np.cumsum(n) + n, n)
+
+
 class BlockMaxIndex:
-    """Examples' unit vectors as postings in blocks; exact k nearest by cosine."""
+    """Examples' unit vectors (term ids, weights) as postings in blocks; exact k nearest by cosine."""
 
-    def __init__(self, vectors: list[dict[int, float]], n_terms: int, block: int = 64):
+    def __init__(self, vectors: list[Vector], n_terms: int, block: int = 64):
         self.n, self.block = len(vectors), block
-        blocks = -(-self.n // block)
-        self.block_max = np.zeros((n_terms, blocks), np.float64)
-        lists: list[list[tuple[int, float]]] = [[] for _ in range(n_terms)]
-        for i, v in enumerate(vectors):
-            for t, w in v.items():
-                lists[t].append((i, w))
-                self.block_max[t, i // block] = max(self.block_max[t, i // block], w)
-        self.rows = [np.array([i for i, _ in p], np.int64) for p in lists]
-        self.weights = [np.array([w for _, w in p], np.float64) for p in lists]
-        edges = np.arange(blocks + 1) * block
-        self.starts = [np.searchsorted(r, edges) for r in self.rows]
-
-    def search(self, query: dict[int, float], k: int, without: int = -1) -> tuple[np.ndarray, np.ndarray]:
+        self.blocks = -(-self.n // block)
+        sizes = [len(v[0]) for v in vectors]
+        term = np.concatenate([np.zeros(0, np.int64), *(v[0] for v in vectors)])
+        row = np.repeat(np.arange(self.n), sizes)
+        order = np.lexsort((row, term))
+        term, self.row = term[order], row[order].astype(np.int32)
+        self.weight = np.concatenate([np.zeros(0), *(v[1] for v in vectors)])[order]
+        self.key = term * (self.blocks * block) + self.row
+        every = np.arange(n_terms + 1)
+        self.start = np.searchsorted(term, every)
+        new = np.ones(len(term), bool)
+        new[1:] = (term[1:] != term[:-1]) | (self.row[1:] // block != self.row[:-1] // block)
+        first = np.nonzero(new)[0]
+        self.block_of = (self.row[first] // block).astype(np.int32)
+        self.block_max = np.maximum.reduceat(self.weight, first) if len(first) else np.zeros(0)
+        self.block_start = np.searchsorted(term[first], every)
+
+    def _scores(self, terms: np.ndarray, weights: np.ndarray, live: np.ndarray) -> Vector:
+        """(examples, cosines above 0) of the examples in ``live`` blocks."""
+        if 4 * len(live) < self.blocks:  # cursors go straight to the blocks
+            first = (terms * (self.blocks * self.block))[:, None] + (live * self.block)[None, :]
+            lo = self.key.searchsorted(first.ravel())
+            n = self.key.searchsorted((first + self.block).ravel()) - lo
+            at, w = _spread(lo, n), np.repeat(np.repeat(weights, len(live)), n)
+            scores = np.bincount(self.row[at], self.weight[at] * w, self.n)
+        else:
+            n = self.start[terms + 1] - self.start[terms]
+            at = _spread(self.start[terms], n)
+            scores = np.bincount(self.row[at], self.weight[at] * np.repeat(weights, n), self.n)
+            dead = np.ones(self.blocks, bool)
+            dead[live] = False
+            scores[np.repeat(dead, self.block)[: self.n]] = 0
+        hit = np.nonzero(scores > 0)[0]
+        return hit, scores[hit]
+
+    def search(self, query: Vector, k: int, without: int = -1, ahead: int = 3) -> Vector:
         """The k largest cosines above 0 (ties: smallest example) and their examples."""
-        if not query or not self.n:
+        terms, weights = query
+        if not len(terms) or not self.n:
             return np.zeros(0, np.int64), np.zeros(0)
-        terms = list(query)
-        bound = sum(query[t] * self.block_max[t] for t in terms)
-        best_i, best_s = np.zeros(0, np.int64), np.zeros(0)
-        for b in np.argsort(-bound, kind="stable"):
-            if bound[b] <= 0 or (len(best_s) >= k and bound[b] < best_s[-1] - 1e-12):
-                break
-            scores = np.zeros(self.block)
-            for t in terms:
-                lo, hi = self.starts[t][b], self.starts[t][b + 1]
-                if hi > lo:
-                    scores[self.rows[t][lo:hi] - b * self.block] += query[t] * self.weights[t][lo:hi]
-            if b * self.block <= without < (b + 1) * self.block:
-                scores[without - b * self.block] = 0
-            hit = np.nonzero(scores > 0)[0]
-            best_i, best_s = np.concatenate([best_i, hit + b * self.block]), np.concatenate([best_s, scores[hit]])
-            order = np.lexsort((best_i, -np.round(best_s, 12)))[:k]
-            best_i, best_s = best_i[order], best_s[order]
-        return best_i, best_s
+        n = self.block_start[terms + 1] - self.block_start[terms]
+        at = _spread(self.block_start[terms], n)
+        bound = np.bincount(self.block_of[at], self.block_max[at] * np.repeat(weights, n), self.blocks)
+
+        def best(i: np.ndarray, s: np.ndarray) -> Vector:
+            if without >= 0:
+                i, s = i[i != without], s[i != without]
+            if len(s) > 4 * k:
+                keep = s >= np.partition(s, len(s) - k)[len(s) - k] - 1e-9
+                i, s = i[keep], s[keep]
+            order = np.lexsort((i, -np.round(s, 12)))[:k]
+            return i[order], s[order]
+
+        order = np.argsort(-bound, kind="stable")
+        order = order[bound[order] > 0]
+        i, s = best(*self._scores(terms, weights, np.sort(order[:ahead])))
+        rest = order[ahead:]
+        if len(s) >= k:
+            rest = rest[bound[rest] >= s[-1] - 1e-9]
+        if len(rest):
+            j, t = self._scores(terms, weights, np.sort(rest))
+            i, s = best(np.concatenate([i, j]), np.concatenate([s, t]))
+        return i, s
 
 
 def isotonic(x: np.ndarray, y: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -207,10 +268,9 @@ class ToxicityModel:
     values: np.ndarray
     empty_score: float
 
-    def vector(self, counts: Counter) -> dict[int, float]:
-        v = {t: (1 + np.log(n)) * self.idf[t] for t, n in counts.items() if self.idf[t] > 0}
-        norm = sum(w * w for w in v.values()) ** 0.5
-        return {t: w / norm for t, w in v.items()} if norm > 0 else {}
+    def vector(self, counts: Counter, plain: list[int]) -> Vector:
+        """Unit vector of all terms: the learnt ones at norm 1, the plain words beside them at norm WORDS."""
+        return unit_vector(counts, plain, self.idf)
 
     def vote(self, near: np.ndarray, sims: np.ndarray, prior: float = 0.5) -> float:
         weight = sims**4
@@ -222,13 +282,26 @@ class ToxicityModel:
         return float(self.values[min(len(self.values) - 1, int(np.searchsorted(self.knots, vote)))])
 
     def score(self, text: str) -> tuple[float, int, np.ndarray, np.ndarray, Counter]:
-        counts, n = self.vocabulary.counts(text)
-        query = self.vector(counts)
-        near, sims = self.index.search(query, self.k)
+        counts, n, plain = self.vocabulary.counts(text)
+        near, sims = self.index.search(self.vector(counts, plain), self.k)
         score = self.calibrated(self.vote(near, sims)) if len(near) else self.empty_score
         return score, n, near, sims, counts
 
 
+def unit_vector(counts: Counter, plain: list[int], idf: np.ndarray) -> Vector:
+    own = np.array(sorted(counts), np.int64)
+    w_own = (1 + np.log(np.array([counts[t] for t in own.tolist()], np.float64))) * idf[own] if len(own) else np.zeros(0)
+    every = np.sort(np.array(plain, np.int64))
+    edge = np.nonzero(np.append(True, every[1:] != every[:-1]))[0] if len(every) else np.zeros(0, np.int64)
+    words, n = every[edge], np.diff(np.append(edge, len(every)))
+    w_words = (1 + np.log(n)) * idf[words]
+    size = np.sqrt((w_own**2).sum()), np.sqrt((w_words**2).sum())
+    whole = np.sqrt((size[0] > 0) + (size[1] > 0) * WORDS**2)
+    terms = np.concatenate([own, words])
+    weights = np.concatenate([w_own / (size[0] or 1), w_words * (WORDS / (size[1] or 1))]) / (whole or 1)
+    return terms[weights > 0], weights[weights > 0]
+
+
 def _sampled(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, per_label: int, folds: int, held: int) -> tuple[list, dict[int, int]]:
     """At most about ``per_label`` labelled training rows of each class, with the classes' sizes."""
     train = labels.where(crc_fold(id_col, folds) != held).where(F.col("toxic").isin(0, 1)).groupBy(F.col(id_col).cast("bigint").alias("doc_id")).agg(F.max("toxic").cast("int").alias("y"))
@@ -242,73 +315,86 @@ def _sampled(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, per
     return rows, sizes
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 15, per_label: int = SAMPLE_PER_LABEL, folds: int = 5, held: int = 0) -> ToxicityModel:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 15, per_label: int = SAMPLE_PER_LABEL, folds: int = 5, held: int = 0, parts: int = 5) -> ToxicityModel:
     """Fit on labelled rows whose fold is not ``held``; document frequencies come from all rows.
 
-    The sample is bounded by ``per_label`` rows of each class, whatever the input's size.
+    The sample is bounded by ``per_label`` rows of each class, whatever the input's size.  Without labels
+    the model scores every text alike.
     """
     rows, sizes = _sampled(docs, labels, id_col, text_col, per_label, folds, held)
     unique = {r.text: r for r in sorted(rows, key=lambda r: (-r.doc_id, r.y))}
     rows = sorted(unique.values(), key=lambda r: r.doc_id)
     texts, ys = [r.text for r in rows], [r.y for r in rows]
-    vocabulary = choose_vocabulary(texts, ys)
-    n_terms = vocabulary.size()
-    n_docs, df = _document_frequency(docs, text_col, vocabulary)
-    idf = np.where(df > 0, np.log((1 + n_docs) / (1 + df)) + 1e-3, 0.0)
-    labels_arr = np.array(ys, np.float64)
+    # near copies share a part, so that a text is never calibrated on what its copy taught
+    apart = np.array([_copy_key(t) % parts == 0 for t in texts], bool)
+    words = shared_words(texts)
+    whole = Vocabulary(choose_vocabulary(texts, ys).ids, words)
+    taught = Vocabulary(choose_vocabulary([t for t, a in zip(texts, apart) if not a], [y for y, a in zip(ys, apart) if not a]).ids, words)
+    n_docs, frequencies = _document_frequency(docs, text_col, [whole, taught])
     # each class counts as it does among all labelled rows, not as in the balanced sample
     drawn = Counter(ys)
     weight = np.array([sizes.get(y, 0) / max(1, drawn[y]) for y in ys])
-    counts = [vocabulary.counts(t)[0] for t in texts]
-    model = ToxicityModel(vocabulary, idf, BlockMaxIndex([], 0), np.zeros(0, np.int64), np.zeros(0), k, np.zeros(0), np.zeros(0), 0.0)
-    vectors = [model.vector(c) for c in counts]
-    some = np.array([i for i, v in enumerate(vectors) if v], np.int64)
-    none = np.array([i for i, v in enumerate(vectors) if not v], np.int64)
-    model.index = BlockMaxIndex([vectors[i] for i in some], n_terms)
-    model.ids = np.array([rows[i].doc_id for i in some], np.int64)
-    model.labels = labels_arr[some]
-    votes = []
-    for j, i in enumerate(some):
-        near, sims = model.index.search(vectors[i], k, without=j)
-        votes.append(model.vote(near, sims))
-    w = weight[some] if len(some) else np.zeros(0)
-    model.knots, model.values = isotonic(np.array(votes), model.labels, w)
-    model.empty_score = float((weight[none] * labels_arr[none]).sum() + 0.01) / float(weight[none].sum() + 1) if len(none) else 0.01
+    votes, models = np.zeros(len(rows)), []
+    for vocabulary, df, of in ((taught, frequencies[1], ~apart), (whole, frequencies[0], np.ones(len(rows), bool))):
+        learnt = vocabulary.learnt()
+        idf = np.where(df > 0, np.log((1 + n_docs) / (1 + df)) + 1e-3, 0.0)
+        idf[learnt:] = np.maximum(0.0, np.log(COMMON * (1 + n_docs) / (1 + df[learnt:])))
+        vectors = [unit_vector(c, plain, idf) for c, _, plain in map(vocabulary.counts, texts)]
+        some = np.array([i for i, v in enumerate(vectors) if len(v[0]) and of[i]], np.int64)
+        index = BlockMaxIndex([vectors[i] for i in some], vocabulary.size())
+        model = ToxicityModel(vocabulary, idf, index, np.array([rows[i].doc_id for i in some], np.int64), np.array([ys[i] for i in some], np.float64), k, np.zeros(0), np.zeros(0), 0.0)
+        models.append((model, vectors))
+    taught_model, vectors = models[0]
+    tested = np.array([i for i in np.nonzero(apart)[0] if len(vectors[i][0])], np.int64)
+    for i in tested:
+        votes[i] = taught_model.vote(*taught_model.index.search(vectors[i], k))
+    model = models[1][0]
+    y = np.array(ys, np.float64)
+    model.knots, model.values = isotonic(votes[tested], y[tested], weight[tested])
+    # before any evidence a text is what documents are by the labels' shares
+    model.empty_score = min(0.49, float((weight * y).sum() + 0.01) / float(weight.sum() + 1)) if len(y) else 0.01
+    model.vocabulary.memo = {}
     return model
 
 
-def _document_frequency(docs: DataFrame, text_col: str, vocabulary: Vocabulary) -> tuple[int, np.ndarray]:
-    """Over all documents: each task adds up its own counts, one short row per task leaves it."""
-    ids = vocabulary.ids
+def _document_frequency(docs: DataFrame, text_col: str, vocabularies: list[Vocabulary]) -> tuple[int, list[np.ndarray]]:
+    """Over all documents, for each vocabulary: each task adds up its own counts and leaves a short row per term.
+
+    The vocabularies share their plain words, which are counted once.
+    """
+    sent = docs.sparkSession.sparkContext.broadcast([(v.ids, v.words) for v in vocabularies])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = Vocabulary(ids)
-        total, df = 0, np.zeros(own.size(), np.int64)
+        own = [Vocabulary(ids, words) for ids, words in sent.value]
+        total, learnt = 0, [np.zeros(v.learnt(), np.int64) for v in own]
+        df = np.zeros(len(own[0].words), np.int64)
         for batch in batches:
             for text in batch.column(0).to_pylist():
-                found, _ = own.counts(text)
                 total += 1
-                for t in found:
-                    df[t] += 1
-        at = np.nonzero(df)[0]
-        yield pa.RecordBatch.from_arrays([pa.array([-1, *at.tolist()], pa.int32()), pa.array([total, *df[at].tolist()], pa.int64())], ["term", "n"])
-
-    rows = arrow_map(docs.select(text_of(text_col).alias("text")), run, "term int, n bigint").groupBy("term").agg(F.sum("n").alias("n")).collect()
-    out = np.zeros(vocabulary.size(), np.float64)
-    total = 0
-    for r in rows:
-        if r.term < 0:
-            total = r.n
-        else:
-            out[r.term] = r.n
-    return total, out
+                for i, v in enumerate(own):
+                    found, _, plain = v.counts(text)
+                    for t in found:
+                        learnt[i][t] += 1
+                    if i == 0 and plain:
+                        df[np.fromiter(set(plain), np.int64) - v.learnt()] += 1
+        flat = np.concatenate([[total], *learnt, df])
+        at = np.nonzero(flat)[0]
+        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(flat[at])], ["term", "n"])
+
+    rows = arrow_map(docs.select(text_of(text_col).alias("text")), run, "term int, n bigint").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
+    edges = np.cumsum([1, *(v.learnt() for v in vocabularies), len(vocabularies[0].words)])
+    flat = np.zeros(edges[-1], np.float64)
+    flat[rows.column("term").to_numpy()] = rows.column("n").to_numpy()
+    learnt = [flat[lo:hi] for lo, hi in zip(edges[:-2], edges[1:-1])]
+    return int(flat[0]), [np.concatenate([part, flat[edges[-2] :]]) for part in learnt]
 
 
 def score_toxicity(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_col: str = "text", folds: int = 5, held: int = 0) -> DataFrame:
     """One row per document: ``doc_id, held_out, score, predicted`` and the evidence.
 
     Evidence: words that hit the vocabulary, the nearest examples' ids and cosines, the terms.
-    Null and empty texts have no terms and get the score of examples without any; null ids stay null;
+    A text none of whose words is known, such as an empty or null one, has no neighbours and gets the share of
+    toxic labels, below 0.5; null ids stay null;
     equal texts get equal scores, ties between examples go to the smallest id; empty tables give empty
     tables; other columns are ignored.  A map without shuffle; the model is bounded by its sample.
     """
@@ -341,12 +427,17 @@ def toxicity(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
 
 
 def without_toxic(docs: DataFrame, labels: DataFrame, text_col: str = "text", **options) -> DataFrame:
-    """The documents that are not predicted toxic, all columns kept."""
+    """The documents that are not predicted toxic (score below 0.5), all columns kept as they were.
+
+    Null and empty texts and rows with a null id stay; repeated rows share their fate; without labels every document
+    stays; an empty table stays empty; columns of any name do no harm.  A map, nothing is shuffled.
+    """
     sent = docs.sparkSession.sparkContext.broadcast(fit_toxicity(docs, labels, text_col=text_col, **options))
     return arrow_filter(docs, text_col, lambda texts: [sent.value.score(t)[0] < 0.5 for t in texts])
 
 
-def plain_neighbours(vectors: Iterable[dict[int, float]], query: dict[int, float], k: int) -> list[tuple[int, float]]:
+def plain_neighbours(vectors: Iterable[Vector], query: Vector, k: int) -> list[tuple[int, float]]:
     """Brute force, for tests."""
-    scored = [(i, sum(w * v.get(t, 0.0) for t, w in query.items())) for i, v in enumerate(vectors)]
+    wanted = dict(zip(query[0].tolist(), query[1].tolist()))
+    scored = [(i, sum(w * wanted.get(t, 0.0) for t, w in zip(v[0].tolist(), v[1].tolist()))) for i, v in enumerate(vectors)]
     return sorted(((i, s) for i, s in scored if s > 0), key=lambda x: (-round(x[1], 12), x[0]))[:k]

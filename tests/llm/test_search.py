@@ -114,16 +114,67 @@ def test_nearest_examples_are_exact():
     rng = np.random.default_rng(2)
     vectors = []
     for _ in range(300):
-        terms = rng.choice(40, size=rng.integers(1, 6), replace=False)
+        terms = np.sort(rng.choice(40, size=rng.integers(1, 6), replace=False))
         w = rng.random(len(terms))
-        w /= np.linalg.norm(w)
-        vectors.append(dict(zip(terms.tolist(), w.tolist())))
-    index = T.BlockMaxIndex(vectors, 40, block=16)
-    for q in vectors[::7]:
-        near, sims = index.search(q, 10)
-        brute = T.plain_neighbours(vectors, q, 10)
-        assert near.tolist() == [i for i, _ in brute] and np.allclose(sims, [s for _, s in brute])
-    assert index.search(vectors[5], 3, without=5)[0].tolist() == [i for i, _ in T.plain_neighbours(vectors, vectors[5], 4) if i != 5][:3]
+        vectors.append((terms, w / np.linalg.norm(w)))
+    for block in (4, 16, 64):
+        index = T.BlockMaxIndex(vectors, 40, block=block)
+        for q in vectors[::7]:
+            near, sims = index.search(q, 10)
+            brute = T.plain_neighbours(vectors, q, 10)
+            assert near.tolist() == [i for i, _ in brute] and np.allclose(sims, [s for _, s in brute])
+        assert index.search(vectors[5], 3, without=5)[0].tolist() == [i for i, _ in T.plain_neighbours(vectors, vectors[5], 4) if i != 5][:3]
+
+
+def test_score_against_brute_force(spark):
+    """The whole score by plain loops: frequencies, weights, all cosines, the vote and its calibration."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    model = T.fit_toxicity(docs, spark.read.parquet("/root/testdata/sf0.01/labels.parquet"))
+    rows = docs.collect()
+    made = [model.vocabulary.counts(r.text or "") for r in rows]
+    df = Counter(t for c, _, plain in made for t in {*c, *plain})
+    learnt = model.vocabulary.learnt()
+
+    def vector(counts, plain):
+        parts = []
+        for c, scale in ((counts, 1.0), (Counter(plain), T.WORDS)):
+            idf = lambda t: math.log((1 + len(rows)) / (1 + df[t])) + 1e-3 if t < learnt else max(0.0, math.log(T.COMMON * (1 + len(rows)) / (1 + df[t])))
+            w = {t: (1 + math.log(n)) * idf(t) for t, n in c.items()}
+            size = math.sqrt(sum(x * x for x in w.values()))
+            parts.append({t: x / size * scale for t, x in w.items()} if size else {})
+        both = parts[0] | parts[1]
+        size = math.sqrt(sum(x * x for x in both.values()))
+        return {t: x / size for t, x in both.items()} if size else {}
+
+    vectors = {r.doc_id: vector(c, plain) for r, (c, _, plain) in zip(rows, made)}
+    examples = [(i, y) for i, y in zip(model.ids.tolist(), model.labels.tolist())]
+    with_neighbours = 0
+    for r in rows:
+        q = vectors[r.doc_id]
+        cosines = [(sum(x * vectors[i].get(t, 0.0) for t, x in q.items()), j, y) for j, (i, y) in enumerate(examples)]
+        near = sorted(((round(s, 12), j, y) for s, j, y in cosines if s > 0), key=lambda c: (-c[0], c[1]))[: model.k]
+        w = [s**4 for s, _, _ in near]
+        vote = (sum(a * y for a, (_, _, y) in zip(w, near)) + 0.25) / (sum(w) + 0.5)
+        want = model.empty_score
+        if near and len(model.knots):
+            want = float(model.values[min(len(model.values) - 1, int((model.knots < vote - 1e-12).sum()))])
+        got = model.score(r.text or "")
+        assert abs(got[0] - want) < 1e-9 or min(abs(model.knots - vote)) < 1e-9
+        with_neighbours += len(got[2]) > 0
+    assert with_neighbours > 0.95 * sum(bool(r.text and r.text.strip()) for r in rows)
+
+
+def test_score_beats_counting_on_held_out_labels(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet")
+    labels = spark.read.parquet("/root/testdata/sf0.1/labels.parquet").groupBy("doc_id").agg({"toxic": "max"}).toDF("doc_id", "y")
+    model = T.fit_toxicity(docs, spark.read.parquet("/root/testdata/sf0.1/labels.parquet"))
+    labelled = docs.join(labels.where("y is not null and crc32(cast(doc_id as string)) % 5 = 0"), "doc_id").collect()
+    scored = [(model.score(r.text or ""), r.y) for r in labelled]
+    right = sum((s[0] >= 0.5) == bool(y) for s, y in scored) / len(scored)
+    counted = sum((s[1] >= 2) == bool(y) for s, y in scored) / len(scored)
+    rank = lambda f: np.mean([(f(a) > f(b)) + 0.5 * (f(a) == f(b)) for a, y in scored if y for b, z in scored if not z])
+    print(f"score: right {right:.4f}, AUC {rank(lambda s: s[0]):.4f}; two hits: right {counted:.4f}, AUC {rank(lambda s: s[1]):.4f}; with neighbours {sum(len(s[2]) > 0 for s, _ in scored)} of {len(scored)}")
+    assert right > 0.98 and rank(lambda s: s[0]) > 0.97 and sum(len(s[2]) > 0 for s, _ in scored) > 0.98 * len(scored)
 
 
 def test_calibration_rises():
