@@ -15,11 +15,12 @@ a fifth of the examples that a vocabulary learnt from the other four fifths has
 from __future__ import annotations
 
 import heapq
+import math
 import re
 import zlib
 from collections import Counter
 from collections.abc import Iterable, Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -32,7 +33,7 @@ SCHEMA = "doc_id bigint, held_out boolean, score double, predicted int, n_hits i
 WORD = re.compile(r"\w+")
 STEMS = (4, 5, 6, 7)
 #: Norm of the part of all words beside that of the vocabulary; words in more than this share of documents weigh nothing.
-WORDS, COMMON = 0.3, 0.1
+WORDS, COMMON = 0.3, 0.02
 COUNT_TERMS = 8
 #: Bound of the sample of labelled rows that is fitted on, for each label.
 SAMPLE_PER_LABEL = 3000
@@ -50,42 +51,58 @@ def text_terms(text: str) -> set[str]:
     return {t for w in set(words) for t in word_terms(w)} | {t for t, n in stems.items() if n > 1}
 
 
-@dataclass
+class _Codes(dict):
+    """Word -> its learnt term, its stem that needs two words, and its plain word, each plus one, packed in a number."""
+
+    def __init__(self, ids: dict[str, int], words: dict[str, int]):
+        self.ids, self.words = ids, words
+
+    def __missing__(self, w: str) -> int:
+        ids = self.ids
+        one = next((ids[x] + 1 for x in word_terms(w) if x in ids), 0)
+        two = next((ids[x + "*"] + 1 for x in word_terms(w)[1:] if x + "*" in ids), 0)
+        code = self[w] = one | two << 16 | self.words.get(w, -1) + 1 << 32
+        return code
+
+
 class Vocabulary:
     """Terms of the vectors: learnt terms first, then count terms, then plain words."""
 
-    ids: dict[str, int]
-    words: dict[str, int] = field(default_factory=dict)
-    memo: dict[str, tuple[int, int, int]] = field(default_factory=dict)
+    def __init__(self, ids: dict[str, int], words: dict[str, int] | None = None):
+        self.ids, self.words = ids, words or {}
+        self.memo = _Codes(self.ids, self.words)
+
+    def __getstate__(self) -> tuple:
+        return self.ids, self.words
 
-    def counts(self, text: str) -> tuple[Counter, int, list[int]]:
-        """Term id -> occurrences, unary count terms included; how many words hit the vocabulary; ids of plain words.
+    def __setstate__(self, state: tuple) -> None:
+        self.__init__(*state)
+
+    def counts(self, text: str) -> tuple[Counter, int, np.ndarray]:
+        """Term id -> occurrences, unary count terms included; how many words hit the vocabulary; sorted ids of plain words.
 
         A word counts for its most specific term; where it has none, for a stem that needs two words.
         """
-        memo, ids, found, paired, plain = self.memo, self.ids, Counter(), Counter(), []
-        if len(memo) > 500_000:
-            memo.clear()
-        base = len(ids) + COUNT_TERMS
-        for w in WORD.findall(text.lower()):
-            t = memo.get(w)
-            if t is None:
-                one = [ids[x] for x in word_terms(w) if x in ids]
-                two = [ids[x + "*"] for x in word_terms(w)[1:] if x + "*" in ids]
-                t = memo[w] = (one[0] if one else -1, two[0] if two else -1, self.words.get(w, -1 - base) + base)
-            if t[0] >= 0:
-                found[t[0]] += 1
-            elif t[1] >= 0:
-                paired[t[1]] += 1
-            if t[2] >= 0:
-                plain.append(t[2])
-        for t, n in paired.items():
-            if n > 1:
-                found[t] += n
-        n = sum(found.values())
+        if len(self.memo) > 500_000:
+            self.memo.clear()
+        found = WORD.findall(text.lower())
+        codes = np.fromiter(map(self.memo.__getitem__, found), np.int64, len(found))
+        plain = codes >> 32
+        plain = np.sort(plain[plain > 0]) + (self.learnt() - 1)
+        learnt = codes & 0xFFFFFFFF
+        hits: Counter = Counter()
+        if learnt.any():
+            paired: Counter = Counter()
+            for c in learnt[learnt > 0].tolist():
+                if c & 0xFFFF:
+                    hits[(c & 0xFFFF) - 1] += 1
+                else:
+                    paired[(c >> 16) - 1] += 1
+            hits.update({t: n for t, n in paired.items() if n > 1})
+        n = sum(hits.values())
         for j in range(min(n, COUNT_TERMS)):
-            found[len(ids) + j] = 1
-        return found, n, plain
+            hits[len(self.ids) + j] = 1
+        return hits, n, plain
 
     def learnt(self) -> int:
         return len(self.ids) + COUNT_TERMS
@@ -176,7 +193,7 @@ def _spread(start: np.ndarray, n: np.ndarray) -> np.ndarray:
 class BlockMaxIndex:
     """Examples' unit vectors (term ids, weights) as postings in blocks; exact k nearest by cosine."""
 
-    def __init__(self, vectors: list[Vector], n_terms: int, block: int = 64):
+    def __init__(self, vectors: list[Vector], n_terms: int, block: int = 256):
         self.n, self.block = len(vectors), block
         self.blocks = -(-self.n // block)
         sizes = [len(v[0]) for v in vectors]
@@ -213,7 +230,7 @@ class BlockMaxIndex:
         hit = np.nonzero(scores > 0)[0]
         return hit, scores[hit]
 
-    def search(self, query: Vector, k: int, without: int = -1, ahead: int = 3) -> Vector:
+    def search(self, query: Vector, k: int, without: int = -1, ahead: int = 1) -> Vector:
         """The k largest cosines above 0 (ties: smallest example) and their examples."""
         terms, weights = query
         if not len(terms) or not self.n:
@@ -268,7 +285,7 @@ class ToxicityModel:
     values: np.ndarray
     empty_score: float
 
-    def vector(self, counts: Counter, plain: list[int]) -> Vector:
+    def vector(self, counts: Counter, plain: np.ndarray) -> Vector:
         """Unit vector of all terms: the learnt ones at norm 1, the plain words beside them at norm WORDS."""
         return unit_vector(counts, plain, self.idf)
 
@@ -288,18 +305,20 @@ class ToxicityModel:
         return score, n, near, sims, counts
 
 
-def unit_vector(counts: Counter, plain: list[int], idf: np.ndarray) -> Vector:
+def unit_vector(counts: Counter, plain: np.ndarray, idf: np.ndarray) -> Vector:
+    edge = np.nonzero(np.diff(plain, prepend=-1))[0]
+    words = plain[edge]
+    w = idf[words] * (1 + np.log(np.diff(edge, append=len(plain))))
+    words, w = words[w > 0], w[w > 0]
+    size = math.sqrt(w @ w)
+    if not counts:
+        return words, w / (size or 1)
     own = np.array(sorted(counts), np.int64)
-    w_own = (1 + np.log(np.array([counts[t] for t in own.tolist()], np.float64))) * idf[own] if len(own) else np.zeros(0)
-    every = np.sort(np.array(plain, np.int64))
-    edge = np.nonzero(np.append(True, every[1:] != every[:-1]))[0] if len(every) else np.zeros(0, np.int64)
-    words, n = every[edge], np.diff(np.append(edge, len(every)))
-    w_words = (1 + np.log(n)) * idf[words]
-    size = np.sqrt((w_own**2).sum()), np.sqrt((w_words**2).sum())
-    whole = np.sqrt((size[0] > 0) + (size[1] > 0) * WORDS**2)
-    terms = np.concatenate([own, words])
-    weights = np.concatenate([w_own / (size[0] or 1), w_words * (WORDS / (size[1] or 1))]) / (whole or 1)
-    return terms[weights > 0], weights[weights > 0]
+    v = (1 + np.log(np.array([counts[t] for t in own.tolist()], np.float64))) * idf[own]
+    own, v = own[v > 0], v[v > 0]
+    v /= math.sqrt(v @ v) or 1
+    whole = math.sqrt((len(v) > 0) + (size > 0) * WORDS**2) or 1
+    return np.concatenate([own, words]), np.concatenate([v / whole, w * (WORDS / (size or 1) / whole)])
 
 
 def _sampled(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, per_label: int, folds: int, held: int) -> tuple[list, dict[int, int]]:
@@ -327,66 +346,54 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", tex
     texts, ys = [r.text for r in rows], [r.y for r in rows]
     # near copies share a part, so that a text is never calibrated on what its copy taught
     apart = np.array([_copy_key(t) % parts == 0 for t in texts], bool)
-    words = shared_words(texts)
-    whole = Vocabulary(choose_vocabulary(texts, ys).ids, words)
-    taught = Vocabulary(choose_vocabulary([t for t, a in zip(texts, apart) if not a], [y for y, a in zip(ys, apart) if not a]).ids, words)
-    n_docs, frequencies = _document_frequency(docs, text_col, [whole, taught])
+    vocabulary = Vocabulary(choose_vocabulary([t for t, a in zip(texts, apart) if not a], [y for y, a in zip(ys, apart) if not a]).ids, shared_words(texts))
+    n_docs, df = _document_frequency(docs, text_col, vocabulary)
+    learnt = vocabulary.learnt()
+    idf = np.where(df > 0, np.log((1 + n_docs) / (1 + df)) + 1e-3, 0.0)
+    idf[learnt:] = np.maximum(0.0, np.log(COMMON * (1 + n_docs) / (1 + df[learnt:])))
+    vectors = [unit_vector(c, plain, idf) for c, _, plain in map(vocabulary.counts, texts)]
+    y = np.array(ys, np.float64)
+
+    def fitted(of: np.ndarray) -> ToxicityModel:
+        some = np.array([i for i in np.nonzero(of)[0] if len(vectors[i][0])], np.int64)
+        ids = np.array([rows[i].doc_id for i in some], np.int64)
+        return ToxicityModel(vocabulary, idf, BlockMaxIndex([vectors[i] for i in some], vocabulary.size()), ids, y[some], k, np.zeros(0), np.zeros(0), 0.0)
+
+    taught = fitted(~apart)
+    tested = np.array([i for i in np.nonzero(apart)[0] if len(vectors[i][0])], np.int64)
+    votes = np.array([taught.vote(*taught.index.search(vectors[i], k)) for i in tested], np.float64)
     # each class counts as it does among all labelled rows, not as in the balanced sample
     drawn = Counter(ys)
     weight = np.array([sizes.get(y, 0) / max(1, drawn[y]) for y in ys])
-    votes, models = np.zeros(len(rows)), []
-    for vocabulary, df, of in ((taught, frequencies[1], ~apart), (whole, frequencies[0], np.ones(len(rows), bool))):
-        learnt = vocabulary.learnt()
-        idf = np.where(df > 0, np.log((1 + n_docs) / (1 + df)) + 1e-3, 0.0)
-        idf[learnt:] = np.maximum(0.0, np.log(COMMON * (1 + n_docs) / (1 + df[learnt:])))
-        vectors = [unit_vector(c, plain, idf) for c, _, plain in map(vocabulary.counts, texts)]
-        some = np.array([i for i, v in enumerate(vectors) if len(v[0]) and of[i]], np.int64)
-        index = BlockMaxIndex([vectors[i] for i in some], vocabulary.size())
-        model = ToxicityModel(vocabulary, idf, index, np.array([rows[i].doc_id for i in some], np.int64), np.array([ys[i] for i in some], np.float64), k, np.zeros(0), np.zeros(0), 0.0)
-        models.append((model, vectors))
-    taught_model, vectors = models[0]
-    tested = np.array([i for i in np.nonzero(apart)[0] if len(vectors[i][0])], np.int64)
-    for i in tested:
-        votes[i] = taught_model.vote(*taught_model.index.search(vectors[i], k))
-    model = models[1][0]
-    y = np.array(ys, np.float64)
-    model.knots, model.values = isotonic(votes[tested], y[tested], weight[tested])
+    model = fitted(np.ones(len(rows), bool))
+    model.knots, model.values = isotonic(votes, y[tested], weight[tested])
     # before any evidence a text is what documents are by the labels' shares
     model.empty_score = min(0.49, float((weight * y).sum() + 0.01) / float(weight.sum() + 1)) if len(y) else 0.01
-    model.vocabulary.memo = {}
     return model
 
 
-def _document_frequency(docs: DataFrame, text_col: str, vocabularies: list[Vocabulary]) -> tuple[int, list[np.ndarray]]:
-    """Over all documents, for each vocabulary: each task adds up its own counts and leaves a short row per term.
-
-    The vocabularies share their plain words, which are counted once.
-    """
-    sent = docs.sparkSession.sparkContext.broadcast([(v.ids, v.words) for v in vocabularies])
+def _document_frequency(docs: DataFrame, text_col: str, vocabulary: Vocabulary) -> tuple[int, np.ndarray]:
+    """Over all documents: each task adds up its own counts and leaves a short row per term."""
+    sent = docs.sparkSession.sparkContext.broadcast(vocabulary)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = [Vocabulary(ids, words) for ids, words in sent.value]
-        total, learnt = 0, [np.zeros(v.learnt(), np.int64) for v in own]
-        df = np.zeros(len(own[0].words), np.int64)
+        own: Vocabulary = sent.value
+        total, df = 0, np.zeros(own.size(), np.int64)
         for batch in batches:
             for text in batch.column(0).to_pylist():
+                hits, _, plain = own.counts(text)
                 total += 1
-                for i, v in enumerate(own):
-                    found, _, plain = v.counts(text)
-                    for t in found:
-                        learnt[i][t] += 1
-                    if i == 0 and plain:
-                        df[np.fromiter(set(plain), np.int64) - v.learnt()] += 1
-        flat = np.concatenate([[total], *learnt, df])
-        at = np.nonzero(flat)[0]
-        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(flat[at])], ["term", "n"])
+                for t in hits:
+                    df[t] += 1
+                df[plain] += 1  # a word that occurs again is set to the same value
+        at = np.nonzero(df)[0]
+        yield pa.RecordBatch.from_arrays([pa.array(np.append(-1, at).astype(np.int32)), pa.array(np.append(total, df[at]))], ["term", "n"])
 
     rows = arrow_map(docs.select(text_of(text_col).alias("text")), run, "term int, n bigint").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
-    edges = np.cumsum([1, *(v.learnt() for v in vocabularies), len(vocabularies[0].words)])
-    flat = np.zeros(edges[-1], np.float64)
-    flat[rows.column("term").to_numpy()] = rows.column("n").to_numpy()
-    learnt = [flat[lo:hi] for lo, hi in zip(edges[:-2], edges[1:-1])]
-    return int(flat[0]), [np.concatenate([part, flat[edges[-2] :]]) for part in learnt]
+    term, n = rows.column("term").to_numpy(), rows.column("n").to_numpy()
+    out = np.zeros(vocabulary.size(), np.float64)
+    out[term[term >= 0]] = n[term >= 0]
+    return int(n[term < 0].sum()), out
 
 
 def score_toxicity(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_col: str = "text", folds: int = 5, held: int = 0) -> DataFrame:
@@ -403,7 +410,6 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m: ToxicityModel = sent.value
-        m.vocabulary.memo = {}
         for batch in batches:
             cols: list[list] = [[], [], [], [], [], []]
             for text in batch.column(2).to_pylist():
