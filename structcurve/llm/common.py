@@ -19,13 +19,15 @@ BATCH_BYTES = 16 << 20
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share (``spark.checkpoint.dir``).
 
-    A private temporary folder is used only where the session names none (local tests).
+    A private temporary folder is used only where a session on a local master names none (tests).
     """
     where = spark.conf.get("spark.checkpoint.dir", None)
     if not where:
         got = spark.sparkContext._jsc.sc().getCheckpointDir()
         where = got.get() if got.isDefined() else None
     if not where:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         where = "file://" + tempfile.mkdtemp(prefix="structcurve-")
         spark.sparkContext.setCheckpointDir(where)
     return where.rstrip("/")
