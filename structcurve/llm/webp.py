@@ -9,7 +9,6 @@ once, the literals' positions are found by following pointers, and copies are ma
 from __future__ import annotations
 
 import functools
-import itertools
 import struct
 from collections.abc import Iterator
 
@@ -178,11 +177,15 @@ class BitWriter:
 # ---- encoding -----------------------------------------------------------------------------------
 
 
-def _run_lengths(lengths: list[int]) -> list[tuple[int, int, int]]:
+def _run_lengths(lengths: np.ndarray) -> list[tuple[int, int, int]]:
     """Code lengths as (symbol, extra value, extra bits), runs folded."""
     out = []
-    for v, same in itertools.groupby(lengths):
-        run = len(list(same))
+    edges = [0, *(np.nonzero(np.diff(lengths))[0] + 1).tolist(), len(lengths)]
+    for v, lo, hi in zip(lengths[edges[:-1]].tolist(), edges, edges[1:]):
+        run = hi - lo
+        if run < 3:
+            out += [(v, 0, 0)] * run
+            continue
         if v == 0:
             while run >= 3:
                 n = min(run, 138)
@@ -227,7 +230,7 @@ def _put_code(w: BitWriter, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray
             bits[used] = 1
             codes[used[1]] = 1
         return codes, bits
-    runs = _run_lengths(lengths.tolist())
+    runs = _run_lengths(lengths)
     counts = np.bincount([s for s, _, _ in runs], minlength=19)
     inner = code_lengths(counts, 7)
     shown = max(4, max(i for i, s in enumerate(LENGTH_ORDER) if inner[s]) + 1)
@@ -298,17 +301,18 @@ def _near_codes(width: int) -> dict[int, int]:
 def repeats(pixels: np.ndarray, least: int = 24, probe: int = 8) -> list[tuple[int, int, int]]:
     """(place, length, distance) of stretches of at least ``least`` pixels that occur before, without overlap.
 
-    Every stretch of ``probe`` pixels is hashed and paired with its last occurrence before; where neighbours
+    Every stretch of ``probe`` pixels (a power of two) is hashed and paired with its last occurrence before; where neighbours
     have the same distance they are one longer match, which is then compared pixel by pixel.
     """
     n = len(pixels) - probe + 1
     if n < least:
         return []
     value = pixels.astype(np.uint64)
-    key = np.zeros(n, np.uint64)
-    for k in range(probe):
-        key = key * np.uint64(0x9E3779B97F4A7C15) + value[k : k + n]
-    key ^= key >> np.uint64(29)
+    key, span = value, 1
+    while span < probe:  # a hash of twice as many pixels from two of half as many
+        key = key[:-span] * np.uint64(0x9E3779B97F4A7C15) + key[span:]
+        key ^= key >> np.uint64(29)
+        span *= 2
     order = np.argsort(key, kind="stable")
     same = key[order[1:]] == key[order[:-1]]
     if not same.any():
@@ -428,7 +432,7 @@ def encode(rgb: np.ndarray, *, alpha: np.ndarray | None = None, matches: bool =
     argb = np.dstack([a, rgb]).astype(np.int64)
     if best:
         packed = argb[..., 1] << 16 | argb[..., 2] << 8 | argb[..., 3]
-        palette = len(np.unique(rgb[0])) <= 48 and len(np.unique(packed)) <= 16
+        palette = len(set(packed[0].tolist())) <= 16 and len(np.unique(packed)) <= 16
         if not palette and height > 2 and 2 * int((packed[1:] == packed[:-1]).sum()) > height * width:
             predictor = 2
     w = BitWriter()
@@ -514,21 +518,36 @@ def _read_code(bits: BitReader, size: int) -> np.ndarray:
     left = size
     if bits.read(1):
         left = 2 + bits.read(2 + 2 * bits.read(3))
-    code, at, previous = Prefix(inner), 0, 8
+    code, at, previous, place, data = Prefix(inner), 0, 8, bits.at, bits.data
+    table, mask, out = code.table.tolist(), (1 << code.width) - 1, [0] * size
     while at < size and left:
         left -= 1
-        s = code.read(bits)
+        ahead = int.from_bytes(data[place >> 3 : (place >> 3) + 4], "little") >> (place & 7)
+        entry = table[ahead & mask]
+        s, used = entry >> 4, entry & 15
+        place += used
         if s < 16:
-            lengths[at] = s
+            out[at] = s
             previous = s or previous
             at += 1
+            continue
+        ahead >>= used
+        if s == 16:
+            value, n, used = previous, 3 + (ahead & 3), 2
+        elif s == 17:
+            value, n, used = 0, 3 + (ahead & 7), 3
         else:
-            value, n = (previous, 3 + bits.read(2)) if s == 16 else (0, 3 + bits.read(3)) if s == 17 else (0, 11 + bits.read(7))
-            if at + n > size:
-                raise ValueError("code lengths run over")
-            lengths[at : at + n] = value
-            at += n
-    return lengths
+            value, n, used = 0, 11 + (ahead & 127), 7
+        place += used
+        if at + n > size:
+            raise ValueError("code lengths run over")
+        if value:
+            out[at : at + n] = [value] * n
+        at += n
+    if place > bits.end:
+        raise ValueError("stream ends early")
+    bits.at = place
+    return np.array(out, np.int64)
 
 
 def _read_group(bits: BitReader, cache_bits: int) -> list[np.ndarray]:
