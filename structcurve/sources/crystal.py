@@ -23,7 +23,7 @@ class _Reader(DataSourceReader):
 
         files, root = fs.FileSystem.from_uri(self.options["path"])
         infos = files.get_file_info(fs.FileSelector(root, recursive=True))
-        return [_File(i.path) for i in sorted(infos, key=lambda i: i.path) if i.is_file and i.path.endswith(".cif")]
+        return [_File(i.path) for i in sorted(infos, key=lambda i: i.path) if i.is_file and i.path.endswith(self.options.get("suffix", ".cif"))]
 
     def read(self, partition: _File) -> Iterator[tuple]:
         from pyarrow import fs
@@ -36,7 +36,9 @@ class _Reader(DataSourceReader):
             parts = line.split()
             if not parts or parts[0].startswith("#"):
                 continue
-            if parts[0] == "loop_":
+            if parts[0].startswith("data_"):
+                looping = False
+            elif parts[0] == "loop_":
                 columns, looping = [], True
             elif parts[0].startswith("_"):
                 if looping:
@@ -49,7 +51,7 @@ class _Reader(DataSourceReader):
 
 
 class CrystalTextSource(DataSource):
-    """``spark.read.format("crystaltext").load(uri)``: one partition per file."""
+    """``spark.read.format("crystaltext").load(uri)``: one partition per file; a file holds one structure or several (``data_`` blocks)."""
 
     @classmethod
     def name(cls) -> str:
