@@ -6,7 +6,7 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .descriptors import neighbours_blocked, pairs
+from .descriptors import neighbour_counts, pairs
 
 
 def rdf(atoms: DataFrame, r_max: float = 30.0, bins: int = 30) -> DataFrame:
@@ -62,8 +62,7 @@ def flat_coordinates(atoms: DataFrame, lattice: DataFrame | None = None, max_ato
 
 def composition(atoms: DataFrame, elements: tuple[int, ...] = (1, 2, 3, 4, 5, 6, 7), cutoff: float = 10.0) -> DataFrame:
     """Counts of elements and of bond degrees 0 to 3 and more: what a connectivity table knows."""
-    degree = neighbours_blocked(atoms, cutoff).groupBy("structure_id", "atom_id").agg(F.count("*").alias("deg"))
-    joined = atoms.join(degree, ["structure_id", "atom_id"], "left").withColumn("deg", F.coalesce("deg", F.lit(0)))
+    joined = neighbour_counts(atoms, cutoff, ("z",)).withColumnRenamed("n", "deg")
     return joined.groupBy("structure_id").agg(*(F.count_if(F.col("z") == e).alias(f"z{e}") for e in elements), *(F.count_if(F.col("deg") == d).alias(f"deg{d}") for d in range(3)), F.count_if(F.col("deg") >= 3).alias("deg3"))
 
 
