@@ -33,3 +33,15 @@ def test_one_pose_for_all_resolutions(spark, monkeypatch):
     monkeypatch.setattr(encode, "spherical_atoms", lambda *a: calls.append(1) or right(*a))
     got = {r.bits: r.nonzeros for r in ex.scaling(spark, DATA, (3, 4)).collect()}
     assert len(calls) == 1 and got[4] == ex.triplets_of(spark, DATA).count()
+
+
+def test_a_basis_beyond_memory_converges(spark, monkeypatch):
+    rng = np.random.default_rng(5)
+    dense = np.where(rng.random((1500, 900)) < 0.02, rng.random((1500, 900)), 0.0)
+    lists = spark.createDataFrame([(i, np.flatnonzero(r).tolist(), r[r > 0].tolist()) for i, r in enumerate(dense)], "k bigint, names array<bigint>, weights array<double>")
+    packed = lsi._packed(lists, np.arange(900)).persist()
+    monkeypatch.setattr(lsi, "BASIS_BYTES", 900 * 8 * 6)
+    sizes, right = [], lsi._room
+    monkeypatch.setattr(lsi, "_room", lambda m, columns: sizes.append(columns) or right(m, columns))
+    _, sigma, used = lsi._svd_subspace(packed, 900, 5, 1e-5, 60)
+    assert used < 60 and sizes == [44] and np.allclose(sigma, np.linalg.svd(dense)[1][:5], atol=1e-6)
